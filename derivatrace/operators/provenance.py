@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 
 from derivatrace.functions.monomials import mul, mul_idem, power, within
 from derivatrace.plans.cq import CQ, is_standard
-from derivatrace.plans.instance import Instance, union
+from derivatrace.plans.instance import Bind, Instance, union
 from derivatrace.plans.rewrite import atom_closure, by_shape, foldings, pruned, rewrite_compute, rewrite_literal
 
 
@@ -104,7 +104,7 @@ def _empty(instance: Instance, head: tuple[str, ...]) -> DataFrame:
     return instance.spark.createDataFrame([], ", ".join([*[f"{h} string" for h in head], f"mono array<{kind}>"]))
 
 
-def atom_facts(instance: Instance, pred: str, args: tuple, *, level: str = "idempotent", labels: bool = True, only: Column | None = None) -> DataFrame:
+def atom_facts(instance: Instance, pred: str, args: tuple, *, level: str = "idempotent", labels: bool = True, only: Column | None = None, bind: Bind | None = None) -> DataFrame:
     """closure form of one atom: all facts that yield it, each rule read once for all its ways."""
     frames = []
     for (p, q), ways in sorted(atom_closure(pred, args, list(instance.ontology.positive)).items()):
@@ -112,7 +112,7 @@ def atom_facts(instance: Instance, pred: str, args: tuple, *, level: str = "idem
         at = [next((i for i, t in enumerate(q) if t == a and t[0] != "b"), None) for a in args]
         if len(q) == 2 and len(args) == 2 and q[0] == q[1]:
             at = [0, 1]
-        for df in instance.branches(p, q, level=level, labels=labels):
+        for df in instance.branches(p, q, level=level, labels=labels, bind=bind):
             if labels:
                 df, more = _multiply(df, sorted(ways), instance, False)
                 df = df.withColumn("mono", mul_idem(F.col("mono"), *more)) if more else df
@@ -126,10 +126,10 @@ def atom_facts(instance: Instance, pred: str, args: tuple, *, level: str = "idem
     return union(frames) if frames else instance.empty(len(args), labels)
 
 
-def _closure_form(instance: Instance, cq: CQ, head, only, level) -> list[DataFrame]:
+def _closure_form(instance: Instance, cq: CQ, head, only, bind) -> list[DataFrame]:
     out = []
     for body, label_sets in sorted(foldings(cq, instance.ontology.positive).items()):
-        df = join_atoms(body, lambda i, p, q: atom_facts(instance, p, q, only=only), head)
+        df = join_atoms(body, lambda i, p, q: atom_facts(instance, p, q, only=only, bind=bind), head)
         df, more = _multiply(df, sorted(label_sets), instance, False)
         out.append(_finish(df, head, [*[F.col(f"_m{i}") for i in range(len(body))], *more], False, only))
     return out
@@ -207,15 +207,16 @@ def _literal_form(instance: Instance, cq: CQ, head, only) -> list[DataFrame]:
     return out
 
 
-def compute_provenance(instance: Instance, cq: CQ | list[CQ], *, level: str = "idempotent", reduce: str = "merge", physical: str = "closure", max_degree: int | None = None, answers: DataFrame | None = None, only: Iterable[str] | None = None) -> DataFrame:
+def compute_provenance(instance: Instance, cq: CQ | list[CQ], *, level: str = "idempotent", reduce: str = "merge", physical: str = "closure", max_degree: int | None = None, answers: DataFrame | None = None, only: Iterable[str] | None = None, bind: Bind | None = None) -> DataFrame:
     """Answer columns and ``mono``, a row for each monomial of each answer; a list of queries is their union.
 
     level: ``idempotent``; ``mult_idempotent`` (adds ``coeff``, existential-free ontologies); ``general`` (needs max_degree).
     reduce: ``merge`` (complete) or ``equal`` (merges atoms of equal labels only). answers: only these answers (few).
-    only: monomials within these labels, filtered at every atom.
+    only: monomials within these labels, filtered at every atom. bind: constants that answer variables may be, which
+    reach the scans as filters (closure form).
     """
     if isinstance(cq, list):
-        frames = [compute_provenance(instance, q, level=level, reduce=reduce, physical=physical, max_degree=max_degree, answers=answers, only=only) for q in cq]
+        frames = [compute_provenance(instance, q, level=level, reduce=reduce, physical=physical, max_degree=max_degree, answers=answers, only=only, bind=bind) for q in cq]
         return frames[0] if len(frames) == 1 else union(frames).dropDuplicates()
     if not is_standard(cq):
         raise ValueError("monomials are fixed in the query: use select_by_provenance or entails")
@@ -234,7 +235,7 @@ def compute_provenance(instance: Instance, cq: CQ | list[CQ], *, level: str = "i
     elif physical == "shape":
         frames = _shape_form(instance, cq, head, keep, level, max_degree)
     else:
-        frames = _closure_form(instance, cq, head, keep, level)
+        frames = _closure_form(instance, cq, head, keep, bind)
     out = union(frames) if frames else _empty(instance, head)
     if cq.where:
         out = out.where(cq.where)

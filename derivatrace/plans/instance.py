@@ -14,6 +14,15 @@ from derivatrace.plans.mapping import Rule
 from derivatrace.plans.ontology import Ontology
 
 
+#: Answer variable -> the few constants that it may be.
+Bind = dict[str, list[str]]
+
+
+def constants(args: tuple, bind: Bind | None) -> list[list[str] | None]:
+    """For each argument the constants it may be; None: any."""
+    return [[n] if k == "c" else bind.get(n) if k == "h" and bind else None for k, n in args]
+
+
 @dataclass(frozen=True)
 class Source:
     table: str
@@ -47,22 +56,22 @@ class Instance:
     def constant(self, labels: Iterable[str]) -> Column:
         return constant(labels, self.hashed)
 
-    def rules_for(self, pred: str, args: tuple | None = None) -> list[Rule]:
+    def rules_for(self, pred: str, args: tuple | None = None, bind: Bind | None = None) -> list[Rule]:
         """The rules of a predicate, without those whose templates can't make the constants asked for."""
         found = [r for r in self.rules if r.pred == pred]
         if args is not None:
-            found = [r for r in found if all(k != "c" or t.may_be(n) for t, (k, n) in zip(r.head, args, strict=True))]
+            found = [r for r in found if all(wanted is None or any(map(t.may_be, wanted)) for t, wanted in zip(r.head, constants(args, bind), strict=True))]
         return found
 
-    def rule_facts(self, rule: Rule, args: tuple | None = None, *, level: str = "idempotent", labels: bool = True) -> DataFrame:
+    def rule_facts(self, rule: Rule, args: tuple | None = None, *, level: str = "idempotent", labels: bool = True, bind: Bind | None = None) -> DataFrame:
         """a0, [a1,] mono of one rule; constants among the arguments become filters on key columns.
 
         Rows with a null argument give no fact.
         """
         df = rule.body.build(self)
-        for t, (k, n) in zip(rule.head, args or (), strict=False):
-            if k == "c":
-                df = df.where(t.equals(n))
+        for t, wanted in zip(rule.head, constants(args or (), bind), strict=False):
+            if wanted is not None:
+                df = df.where(t.equals(wanted[0]) if len(wanted) == 1 else t.among(wanted))
         for t in rule.head:
             for c in t.columns:
                 df = df.where(F.col(c).isNotNull())
@@ -72,20 +81,20 @@ class Instance:
             cols.append((mul if level == "general" else mul_idem)(self.constant(rule.label), *own, *map(F.col, rule.body.arrays)).alias("mono"))
         return df.select(*cols)
 
-    def given_facts(self, pred: str, args: tuple | None = None, labels: bool = True) -> DataFrame | None:
+    def given_facts(self, pred: str, args: tuple | None = None, labels: bool = True, bind: Bind | None = None) -> DataFrame | None:
         if (df := self.given.get(pred)) is None:
             return None
         names = [c for c in df.columns if c != "mono"]
         df = df.select(*[F.col(c).alias(f"a{i}") for i, c in enumerate(names)], *["mono"] * labels)
-        for i, (k, n) in enumerate(args or ()):
-            if k == "c":
-                df = df.where(F.col(f"a{i}") == n)
+        for i, wanted in enumerate(constants(args or (), bind)):
+            if wanted is not None:
+                df = df.where(F.col(f"a{i}").isin(wanted))
         return df
 
-    def branches(self, pred: str, args: tuple | None = None, *, level: str = "idempotent", labels: bool = True) -> list[DataFrame]:
+    def branches(self, pred: str, args: tuple | None = None, *, level: str = "idempotent", labels: bool = True, bind: Bind | None = None) -> list[DataFrame]:
         """One frame for each rule of the predicate that can make these arguments."""
-        out = [self.rule_facts(r, args, level=level, labels=labels) for r in self.rules_for(pred, args)]
-        given = self.given_facts(pred, args, labels)
+        out = [self.rule_facts(r, args, level=level, labels=labels, bind=bind) for r in self.rules_for(pred, args, bind)]
+        given = self.given_facts(pred, args, labels, bind)
         return out if given is None else [*out, given]
 
     def empty(self, n: int, labels: bool = True) -> DataFrame:
@@ -121,3 +130,8 @@ def register_views(instance: Instance, preds: Iterable[str] | None = None) -> li
         names.append(f"facts_{p}")
         df.toDF(*(("s", "mono") if len(df.columns) == 2 else ("s", "o", "mono"))).createOrReplaceTempView(names[-1])
     return names
+
+
+def from_store(instance: Instance, facts: dict[str, DataFrame]) -> Instance:
+    """The instance over stored facts (a0, [a1,] mono) instead of its rules: materialised where the rules are virtual."""
+    return replace(instance, rules=(), given=facts)

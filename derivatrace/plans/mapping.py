@@ -48,6 +48,20 @@ class Template:
         return out
 
 
+    def among(self, constants: list[str]) -> Column:
+        """Any of the constants; one key column compares as a list, which the scan takes as a filter."""
+        possible = [c for c in constants if self.may_be(c)]
+        if len(self.columns) == 1 and possible:
+            keys = [c.partition("/")[2] for c in possible]
+            if all(k.lstrip("-").isdigit() and str(int(k)) == k for k in keys):
+                return F.col(self.columns[0]).isin([int(k) for k in keys])
+            return F.col(self.columns[0]).cast("string").isin(keys)
+        out = F.lit(False)
+        for c in possible:
+            out |= self.equals(c)
+        return out
+
+
 def _typed(column: str, value: str) -> Column:
     # An integer literal lets the comparison keep the column's type, and so be pushed down.
     return F.col(column) == (F.lit(int(value)) if value.lstrip("-").isdigit() and str(int(value)) == value else F.lit(value))

@@ -240,3 +240,32 @@ def test_measures(spark, deep):
     assert measures.timed(lambda: spark.range(10), runs=1) > 0 and measures.mix_time([lambda: spark.range(5)], runs=1) > 0
     assert measures.overhead(3.2, 2.0) == pytest.approx(1.6) and measures.instance_size(deep) > 1000
     assert measures.rewriting_stats(deep, mixes.DEEP["D09"].cq)["bodies"] == 30
+
+
+def test_explaining_several_answers_in_one_plan(deep):
+    cq = parse_cq("q(o, c) :- Order(o), placedBy(o, c)")
+    picked = explain.sampled(deep, cq, 3)
+    one_by_one = {(tuple(p.values()), frozenset(r["mono"])) for p in picked for r in explain.why(deep, cq, p).collect()}
+    assert rows(explain.explain(deep, cq, picked)) == one_by_one
+    assert rows(explain.explain_many(deep, cq, deep.spark.createDataFrame(picked))) == one_by_one
+    assert "In(o_orderkey" in explain.explain(deep, cq, picked)._jdf.queryExecution().sparkPlan().toString()
+
+
+def test_stored_facts_instead_of_rules(spark, deep, tmp_path):
+    from derivatrace.plans.instance import from_store
+
+    preds = ["Region", "Nation", "partOfRegion"]
+    tables.materialise(derive_facts(deep, preds), str(tmp_path / "f"))
+    stored = from_store(deep, tables.stored(spark, str(tmp_path / "f"), preds))
+    assert measures.agree(compute_provenance(stored, mixes.DEEP["D05"].cq), compute_provenance(deep, mixes.DEEP["D05"].cq))
+
+
+def test_functions_on_packaged_polynomials(spark):
+    from derivatrace.functions import udfs
+
+    df = spark.createDataFrame([([["a"], ["a", "b"], ["c"]],), (None,)], "p array<array<string>>")
+    assert [r[0] for r in df.select(udfs.simplify_minimal("p")).collect()] == [[["a"], ["c"]], None]
+    one = spark.createDataFrame([([["a"], ["b"]], [["a"]])], "x array<array<string>>, y array<array<string>>")
+    assert one.select(udfs.multiply_general("x", "y")).first()[0] == [["a", "a"], ["a", "b"]]
+    udfs.register_derivations(spark, Ontology.parse(["A <= B @x", "B <= C @y", "A <= C @z"]))
+    assert {r[0] for r in spark.sql("SELECT * FROM derivations('A', 'C')").collect()} == {"x*y", "z"}
