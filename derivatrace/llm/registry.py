@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from derivatrace.llm import decontam, licenses, mixing, quality, secret_scan, simhash, spans, token_counts, token_output, url_filter
+from derivatrace.llm import decontam, licenses, mixing, oracles, quality, secret_scan, simhash, spans, token_counts, token_output, url_filter
 from derivatrace.llm.common import documents
 
 
@@ -63,4 +63,5 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    """The others (tokeniser, trie, fuzzy matching, fingerprints, character models, sentence hashes) are tested by brute force."""
+    return {"op3_source_mix": oracles.mix(), "op4_decontamination": oracles.contamination(), "op7_quality_rules": oracles.quality_rules(), "op9_url_filter": oracles.urls()}
