@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
@@ -40,19 +42,30 @@ def cut(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
-def fresh(df: DataFrame, name: str) -> str:
-    """A column name that the frame doesn't have, compared as Spark does, without case."""
-    taken = {c.lower() for c in df.columns}
-    while name.lower() in taken:
-        name += "_"
-    return name
-
-
 def column(df: DataFrame, name: str) -> Column:
     """A column by its literal name, dots included."""
     return df["`" + name.replace("`", "``") + "`"]
 
 
+def free_prefix(df: DataFrame, letter: str) -> str:
+    """A prefix that no column of the frame starts with."""
+    p = letter + "__"
+    while any(c.lower().startswith(p) for c in df.columns):
+        p = letter + p
+    return p
+
+
+def row_key(df: DataFrame, *names: str) -> Column:
+    """A hash of these columns. With the id beside it, it stands for a row: rows alike in id and these are interchangeable."""
+    return F.xxhash64(*[column(df, n) for n in names])
+
+
+def only_keyed(docs: DataFrame, keys: DataFrame, id_col: str, names: tuple[str, ...], p: str, how: str = "left_semi") -> DataFrame:
+    """The documents whose (id, row key) is among the keys (columns <p>id, <p>key); texts move once, by that key."""
+    marked = docs.withColumn(f"{p}own", row_key(docs, *names))
+    return marked.join(keys, column(marked, id_col).eqNullSafe(keys[f"{p}id"]) & (marked[f"{p}own"] == keys[f"{p}key"]), how)
+
+
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
@@ -74,5 +87,12 @@ def pieces(batch: pa.RecordBatch, rows: int) -> Iterator[pa.RecordBatch]:
         yield batch.slice(i, rows)
 
 
+def tidy() -> None:
+    """Give freed memory back at the end of a task: workers are reused, and idle ones should hold little."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):  # not every C library can
+        ctypes.CDLL(None).malloc_trim(0)
+
+
 def ascii_lower(col: Column) -> Column:
     return F.translate(col, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")

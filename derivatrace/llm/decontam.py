@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from derivatrace.llm.common import WORD_TABLE, as_bytes, column, fresh
+from derivatrace.llm.common import WORD_TABLE, as_bytes, column, free_prefix, pieces, tidy
 
 SPAN, K, BLOCK_WORDS = 10, 5, 1_000_000
 _BASE = np.uint64(0x9E3779B97F4A7C15)
@@ -181,9 +181,7 @@ def blocks(benchmark: DataFrame, id_col: str, text: str, most: int, span: int) -
 
 def scan(docs: DataFrame, benchmark: DataFrame, *, text: str = "text", item_col: str = "item_id", item_text: str = "text", span: int = SPAN, k: int = K, block_words: int = BLOCK_WORDS, keep: list[str] | None = None) -> tuple[DataFrame, str]:
     """The rows with n_words, n_hit, n_items and items_sha256 under a fresh prefix; the frame and the prefix."""
-    p = fresh(docs, "d") + "__"
-    while any(c.lower().startswith(p) for c in docs.columns):
-        p = "d" + p
+    p = free_prefix(docs, "d")
     columns = docs.columns if keep is None else keep
     body = f"{p}text"
     frame = docs.select(*[column(docs, c) for c in columns], column(docs, text).alias(body))
@@ -191,35 +189,32 @@ def scan(docs: DataFrame, benchmark: DataFrame, *, text: str = "text", item_col:
     found = blocks(benchmark, item_col, item_text, block_words, span)
     indexes = [docs.sparkSession.sparkContext.broadcast(build(b, span, k)) for b in found] or [docs.sparkSession.sparkContext.broadcast(Index())]
     plain = frame.schema.fields
+    names = ("n_words", "n_hit", "n_items", "items_sha256")
+    out = [T.StructField(f"{p}{c}", kind) for c, kind in zip(names, (T.LongType(), T.LongType(), T.LongType(), T.StringType()), strict=True)]
     for i, index in enumerate(indexes):
 
-        def search(batches: Iterator[pa.RecordBatch], index=index, first=not i) -> Iterator[pa.RecordBatch]:
+        def search(batches: Iterator[pa.RecordBatch], index=index, first=i == 0, last=i == len(indexes) - 1) -> Iterator[pa.RecordBatch]:
             x = index.value
             for b in batches:
-                for at in range(0, b.num_rows, 128):
-                    s = b.slice(at, 128)
+                for s in pieces(b, 128):
                     got = find(x, as_bytes(s, body), span, k)
                     marks, items = [g[1] for g in got], [g[2] for g in got]
                     if not first:
                         marks = [m | np.unpackbits(np.frombuffer(o, np.uint8), count=len(m)).astype(bool) for m, o in zip(marks, s.column(f"{p}marks").to_pylist(), strict=True)]
                         items = [i.union(o) for i, o in zip(items, s.column(f"{p}items").to_pylist(), strict=True)]
-                    own = [c for c in s.schema.names if c not in (f"{p}marks", f"{p}items")]
-                    yield pa.RecordBatch.from_arrays([*[s.column(c) for c in own], pa.array([np.packbits(m).tobytes() for m in marks], pa.binary()), pa.array([list(i) for i in items], pa.list_(pa.string()))], names=[*own, f"{p}marks", f"{p}items"])
-
-        frame = frame.mapInArrow(search, T.StructType([*plain, *state]))
-
-    def digest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            for at in range(0, b.num_rows, 128):
-                s = b.slice(at, 128)
-                n = [len(words(t)) for t in as_bytes(s, body)]
-                hits = [int(np.unpackbits(np.frombuffer(m, np.uint8)).sum()) for m in s.column(f"{p}marks").to_pylist()]
-                items = [sorted(x) for x in s.column(f"{p}items").to_pylist()]
-                sums = [hashlib.sha256(",".join(x).encode()).hexdigest() for x in items]
-                yield pa.RecordBatch.from_arrays([*[s.column(c) for c in columns], pa.array(n, pa.int64()), pa.array(hits, pa.int64()), pa.array([len(x) for x in items], pa.int64()), pa.array(sums)], names=[*columns, *[f"{p}{c}" for c in ("n_words", "n_hit", "n_items", "items_sha256")]])
-
-    out = [T.StructField(f"{p}{c}", kind) for c, kind in (("n_words", T.LongType()), ("n_hit", T.LongType()), ("n_items", T.LongType()), ("items_sha256", T.StringType()))]
-    return frame.mapInArrow(digest, T.StructType([*[f for f in plain if f.name != body], *out])), p
+                    if last:
+                        found = [sorted(i) for i in items]
+                        sums = [hashlib.sha256(",".join(i).encode()).hexdigest() for i in found]
+                        made = [pa.array([g[0] for g in got], pa.int64()), pa.array([int(m.sum()) for m in marks], pa.int64()), pa.array(list(map(len, found)), pa.int64()), pa.array(sums, pa.string())]
+                        yield pa.RecordBatch.from_arrays([*[s.column(c) for c in columns], *made], names=[*columns, *[f.name for f in out]])
+                    else:
+                        made = [pa.array([np.packbits(m).tobytes() for m in marks], pa.binary()), pa.array([list(i) for i in items], pa.list_(pa.string()))]
+                        yield pa.RecordBatch.from_arrays([*[s.column(f.name) for f in plain], *made], names=[f.name for f in [*plain, *state]])
+            tidy()
+
+        kept = [f for f in plain if f.name != body]
+        frame = frame.mapInArrow(search, T.StructType([*kept, *out] if i == len(indexes) - 1 else [*plain, *state]))
+    return frame, p
 
 
 def contamination(docs: DataFrame, benchmark: DataFrame, *, id_col: str = "doc_id", **options) -> DataFrame:

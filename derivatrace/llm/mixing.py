@@ -15,22 +15,16 @@ are the named parts of a mixture; their totals are held by the driver (``max_sou
 from __future__ import annotations
 
 import hashlib
-import math
-from collections.abc import Iterator
 
-import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
-from derivatrace.llm.common import column, cut, fresh
+from derivatrace.llm.common import column, cut, free_prefix, only_keyed, row_key
 
 #: The weights of the sources in order, and the mix's size against all sizes.
 WEIGHTS = (3, 1, 2)
 SHARE = 1.5
 MOST = 2.0
-#: Marks the null source in keys, where no source name can be (0xFF isn't UTF-8).
-NULL_SOURCE = b"\xff"
 
 
 def water_fill(sizes: dict[str | None, int], weights: tuple[int, ...] = WEIGHTS, share: float = SHARE, most: float = MOST) -> dict[str | None, float]:
@@ -53,60 +47,45 @@ def water_fill(sizes: dict[str | None, int], weights: tuple[int, ...] = WEIGHTS,
 
 def offset(source: str | None, seed: int) -> float:
     """The random offset of a source: a fixed function of its name and the seed, so that reruns agree."""
-    key = NULL_SOURCE if source is None else source.encode()
-    return int.from_bytes(hashlib.blake2b(key, digest_size=6, salt=seed.to_bytes(8, "little")).digest(), "big") / 2**48
+    key = str(seed) if source is None else f"{seed}={source}"
+    return int(hashlib.md5(key.encode()).hexdigest()[:12], 16) / 2**48
 
 
 def word_sizes(text) -> F.Column:
     return F.coalesce(F.size(F.array_remove(F.split(text, r"[\x20\x09-\x0D]+"), "")), F.lit(0)).cast("long")
 
 
-def mix(docs: DataFrame, *, id_col: str = "doc_id", text: str = "text", source: str = "source", weights: tuple[int, ...] = WEIGHTS, share: float = SHARE, most: float = MOST, seed: int = 7, max_sources: int = 1_000_000, carry: bool = False) -> tuple[DataFrame, str]:
-    """Every document with size, source_size, target, copies and taken under a fresh prefix; carry: with its own columns.
-
-    Returns the frame and the prefix.
-    """
-    p = fresh(docs, "m") + "__"
-    while any(c.lower().startswith(p) for c in docs.columns):
-        p = "m" + p
+def mix(docs: DataFrame, *, id_col: str = "doc_id", text: str = "text", source: str = "source", weights: tuple[int, ...] = WEIGHTS, share: float = SHARE, most: float = MOST, seed: int = 7, max_sources: int = 1_000_000) -> tuple[DataFrame, str]:
+    """<p>id, <p>key and, for every row, size, source_size, target, copies and taken, all under the prefix p; the frame and p."""
+    p = free_prefix(docs, "m")
     spark, body = docs.sparkSession, column(docs, text)
-    keys = [column(docs, id_col).alias(f"{p}id"), column(docs, source).cast("string").alias(f"{p}source"), F.when(body.isNull(), F.lit(0)).otherwise(word_sizes(body)).cast("long").alias(f"{p}size"), F.xxhash64(body).alias(f"{p}hash")]
-    sized = cut(docs.select(*([column(docs, c) for c in docs.columns] if carry else []), *keys), "mix")
-    totals = sized.groupBy(f"{p}source").agg(F.sum(f"{p}size").alias("size"), F.count(F.lit(1)).alias("n"))
-    rows = totals.limit(max_sources + 1).collect()
-    if len(rows) > max_sources:
+    sized = cut(docs.select(column(docs, id_col).alias(f"{p}id"), row_key(docs, text, source).alias(f"{p}key"), column(docs, source).cast("string").alias(f"{p}source"), word_sizes(body).alias(f"{p}size")), "mix")
+    totals = sized.groupBy(f"{p}source").agg(F.sum(f"{p}size").alias("size")).limit(max_sources + 1).collect()
+    if len(totals) > max_sources:
         raise ValueError(f"more than {max_sources} sources: raise max_sources or group them")
-    sizes = {r[0]: r["size"] for r in rows}
+    sizes = {r[0]: r["size"] for r in totals}
     targets = water_fill(sizes, weights, share, most)
-    plan = {s: (sizes[s], targets[s], targets[s] / sizes[s] if sizes[s] else 0.0, offset(s, seed)) for s in sizes}
-    order = sized.repartitionByRange(F.col(f"{p}source").asc_nulls_last(), f"{p}size", f"{p}id", f"{p}hash").sortWithinPartitions(F.col(f"{p}source").asc_nulls_last(), f"{p}size", f"{p}id", f"{p}hash")
+    keys = [F.col(f"{p}source").asc_nulls_last(), F.col(f"{p}size"), F.col(f"{p}id"), F.col(f"{p}key")]
+    order = sized.repartitionByRange(*keys).sortWithinPartitions(*keys)
     ordered = cut(order.withColumn(f"{p}part", F.spark_partition_id()).withColumn(f"{p}at", F.monotonically_increasing_id() % (1 << 33)), "mix-order")
-    counts: dict[str | None, int] = {}
-    starts = {}
     firsts = ordered.groupBy(f"{p}part", f"{p}source").agg(F.count(F.lit(1)).alias("n"), F.min(f"{p}at").alias("at")).collect()
-    for r in sorted(firsts, key=lambda r: r[0]):
-        starts[r[0], r[1]] = counts.get(r[1], 0) - r["at"]
-        counts[r[1]] = counts.get(r[1], 0) + r["n"]
-    table = spark.sparkContext.broadcast((plan, starts))  # a row for each source, and for each (partition, source)
-
-    def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        plan, starts = table.value
-        for b in batches:
-            new = {"source_size": [], "target": [], "copies": [], "taken": []}
-            sources = [None if v is None else v.decode() for v in b.column(f"{p}source").cast(pa.binary()).to_pylist()]
-            for s, n, part, at in zip(sources, b.column(f"{p}size").to_pylist(), b.column(f"{p}part").to_pylist(), b.column(f"{p}at").to_pylist(), strict=True):
-                total, target, rate, shift = plan[s]
-                rank = starts[part, s] + at
-                # Rounding must not add a copy beyond the next whole number.
-                copies = min(math.floor(shift + (rank + 1) * rate) - math.floor(shift + rank * rate), math.ceil(rate))
-                for k, v in zip(new, (total, target, copies, copies * n), strict=True):
-                    new[k].append(v)
-            kinds = (pa.int64(), pa.float64(), pa.int64(), pa.int64())
-            arrays = [pa.array(v, kind) for v, kind in zip(new.values(), kinds, strict=True)]
-            yield pa.RecordBatch.from_arrays([*b.columns, *arrays], names=[*b.schema.names, *[f"{p}{k}" for k in new]])
-
-    added = [T.StructField(f"{p}{k}", kind) for k, kind in (("source_size", T.LongType()), ("target", T.DoubleType()), ("copies", T.LongType()), ("taken", T.LongType()))]
-    return ordered.mapInArrow(deal, T.StructType([*ordered.schema.fields, *added])), p
+    counts: dict[str | None, int] = {}
+    starts = []
+    name = lambda s: "" if s is None else f"={s}"
+    for part, s, n, at in sorted(firsts, key=lambda r: r[0]):
+        starts.append((part, name(s), counts.get(s, 0) - at))
+        counts[s] = counts.get(s, 0) + n
+    # Two small tables, a row for each source and for each (partition, source), joined by broadcast.
+    plan = [(name(s), sizes[s], targets[s], targets[s] / sizes[s] if sizes[s] else 0.0, offset(s, seed)) for s in sizes]
+    plans = spark.createDataFrame(plan, f"{p}name string, {p}source_size long, {p}target double, {p}rate double, {p}shift double")
+    ranks = spark.createDataFrame(starts, f"{p}part int, {p}name string, {p}start long")
+    named = ordered.withColumn(f"{p}name", F.coalesce(F.concat(F.lit("="), f"{p}source"), F.lit("")))
+    rows = named.join(F.broadcast(plans), f"{p}name").join(F.broadcast(ranks), [f"{p}part", f"{p}name"])
+    rank, rate, shift = F.col(f"{p}start") + F.col(f"{p}at"), F.col(f"{p}rate"), F.col(f"{p}shift")
+    # Rounding must not add a copy beyond the next whole number.
+    copies = F.least(F.floor(shift + (rank + 1) * rate) - F.floor(shift + rank * rate), F.ceil(rate)).cast("long")
+    rows = rows.withColumn(f"{p}copies", copies)
+    return rows.withColumn(f"{p}taken", F.col(f"{p}copies") * F.col(f"{p}size")), p
 
 
 def mix_report(docs: DataFrame, **options) -> DataFrame:
@@ -115,7 +94,14 @@ def mix_report(docs: DataFrame, **options) -> DataFrame:
     return out.select(F.col(f"{p}id").alias("doc_id"), *[F.col(f"{p}{n}").alias(n) for n in ("size", "source_size", "target", "taken", "copies")])
 
 
-def mixed(docs: DataFrame, **options) -> DataFrame:
-    """The documents, each as many times as the mix takes it."""
-    out, p = mix(docs, carry=True, **options)
-    return out.select(*[column(out, c) for c in docs.columns], F.explode(F.when(F.col(f"{p}copies") >= 1, F.sequence(F.lit(1).cast("long"), F.col(f"{p}copies"))).otherwise(F.expr("array()").cast("array<bigint>"))).alias(f"{p}copy")).drop(f"{p}copy")
+def mixed(docs: DataFrame, *, id_col: str = "doc_id", text: str = "text", source: str = "source", **options) -> DataFrame:
+    """The documents, each as many times as the mix takes it.
+
+    Rows alike in id, source and text are one row here, taken as often as they are together.
+    """
+    out, p = mix(docs, id_col=id_col, text=text, source=source, **options)
+    every = out.groupBy(f"{p}id", f"{p}key").agg(F.sum(f"{p}copies").alias(f"{p}copies"), F.count(F.lit(1)).alias(f"{p}n"))
+    took = only_keyed(docs, every.where(F.col(f"{p}copies") > 0), id_col, (text, source), p, "inner")
+    repeated = took.where(F.col(f"{p}n") > 1).dropDuplicates([f"{p}id", f"{p}key"])
+    took = took.where(F.col(f"{p}n") == 1).unionByName(repeated) if not every.where(F.col(f"{p}n") > 1).isEmpty() else took
+    return took.select(*[column(took, c) for c in docs.columns], F.explode(F.sequence(F.lit(1).cast("long"), F.col(f"{p}copies"))).alias(f"{p}copy")).drop(f"{p}copy")

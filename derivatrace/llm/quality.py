@@ -17,7 +17,7 @@ import math
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from derivatrace.llm.common import column, cut, fresh
+from derivatrace.llm.common import column, cut, free_prefix, only_keyed, row_key
 
 SPACES = r"[\x20\x09-\x0D]+"
 SYMBOLS = r"[^#*$%&|<>]+"
@@ -110,7 +110,7 @@ def certified_cutoffs(measured: DataFrame, labels: DataFrame, *, id_col: str, st
     marked = labels.where(column(labels, "quality").isNotNull() & column(labels, "doc_id").isNotNull()).groupBy(column(labels, "doc_id").alias(f"{p}id")).agg(F.min("quality").alias(f"{p}good"))
     held = (
         measured.where(~base_failed(p))
-        .select(column(measured, id_col).alias(f"{p}id"), column(measured, stratum).cast("string").alias(f"{p}s"), *[c.alias(f"{p}m_{m}") for m, c in measure_columns(p).items()])
+        .select(column(measured, id_col).alias(f"{p}id"), column(measured, stratum).alias(f"{p}s"), *[c.alias(f"{p}m_{m}") for m, c in measure_columns(p).items()])
         .join(marked, f"{p}id")
     )
     # Labelled texts by the highest grid step that each measure reaches: at most 51 x measures rows for each stratum.
@@ -129,22 +129,17 @@ def certified_cutoffs(measured: DataFrame, labels: DataFrame, *, id_col: str, st
     return best.groupBy(f"{p}s").agg(*[F.max(F.when(F.col("m") == m, F.col("b") / len(GRID))).alias(f"{p}cut_{m}") for m in MEASURES])
 
 
-def judge(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text: str = "text", stratum: str = "lang", alpha: float = 0.02, delta: float = 0.05, keep: list[str] | None = None) -> tuple[DataFrame, str]:
-    """Rows with the counts, base_failed, kept and the reasons, all under a prefix that no input column has.
+def judge(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text: str = "text", stratum: str = "lang", alpha: float = 0.02, delta: float = 0.05) -> tuple[DataFrame, str]:
+    """<p>id, <p>key and, for every row, its counts, base_failed, kept and reasons, all under the prefix p; the frame and p.
 
-    keep: input columns that the result carries (all by default). Returns the frame and the prefix.
     alpha bounds the share of good texts that the certified cutoffs of a stratum reject, at confidence 1 - delta.
     """
-    p = fresh(docs, "q") + "__"
-    while any(c.lower().startswith(p) for c in docs.columns):
-        p = "q" + p
-    columns = docs.columns if keep is None else keep
-    base = docs.select(*[column(docs, c) for c in dict.fromkeys([*columns, id_col, text, stratum])])
-    measured = count_columns(base, text, p)
-    wanted = [*dict.fromkeys([*columns, id_col, stratum])]
-    measured = cut(measured.select(*[F.col(f"`{c}`") for c in wanted], *[c for c in measured.columns if c.startswith(p)]), "quality")
-    cutoffs = certified_cutoffs(measured, labels, id_col=id_col, stratum=stratum, p=p, alpha=alpha, delta=delta)
-    joined = measured.join(cutoffs, column(measured, stratum).cast("string").eqNullSafe(cutoffs[f"{p}s"]), "left")
+    p = free_prefix(docs, "q")
+    lean = docs.select(column(docs, id_col).alias(f"{p}id"), row_key(docs, text, stratum).alias(f"{p}key"), column(docs, stratum).cast("string").alias(f"{p}stratum"), column(docs, text).alias("text"))
+    measured = count_columns(lean, "text", p)
+    measured = cut(measured.select(*[c for c in measured.columns if c != "text"]), "quality")
+    cutoffs = certified_cutoffs(measured, labels, id_col=f"{p}id", stratum=f"{p}stratum", p=p, alpha=alpha, delta=delta)
+    joined = measured.join(cutoffs, measured[f"{p}stratum"].eqNullSafe(cutoffs[f"{p}s"]), "left")
     reasons = F.filter(F.array(*[F.when(c >= F.col(f"{p}cut_{m}"), F.lit(m)) for m, c in measure_columns(p).items()]), lambda x: x.isNotNull())
     joined = joined.withColumn(f"{p}base_failed", base_failed(p)).withColumn(f"{p}reasons", reasons)
     return joined.withColumn(f"{p}kept", ~F.col(f"{p}base_failed") & (F.size(f"{p}reasons") == 0)), p
@@ -152,13 +147,14 @@ def judge(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text: s
 
 def quality_rules(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
     """doc_id, the five base counts, base_failed, kept and the measures that rejected the text."""
-    id_col = options.get("id_col", "doc_id")
-    out, p = judge(docs, labels, keep=[], **options)
+    out, p = judge(docs, labels, **options)
     names = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "reasons")
-    return out.select(column(out, id_col).alias("doc_id"), *[F.col(f"{p}{n}").alias(n) for n in names])
+    return out.select(F.col(f"{p}id").alias("doc_id"), *[F.col(f"{p}{n}").alias(n) for n in names])
 
 
-def keep_good(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
-    """The documents that pass, with their own columns."""
-    out, p = judge(docs, labels, **options)
-    return out.where(F.col(f"{p}kept")).select(*[column(out, c) for c in docs.columns])
+def keep_good(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text: str = "text", stratum: str = "lang", **options) -> DataFrame:
+    """The documents that pass, with their own columns: a semi-join with the verdicts, which hold for equal rows alike."""
+    out, p = judge(docs, labels, id_col=id_col, text=text, stratum=stratum, **options)
+    good = out.where(F.col(f"{p}kept")).select(f"{p}id", f"{p}key")
+    kept = only_keyed(docs, good, id_col, (text, stratum), p)
+    return kept.select(*[column(kept, c) for c in docs.columns])

@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from derivatrace.llm.common import LOWER_TABLE, as_bytes, column, cut, fresh
+from derivatrace.llm.common import LOWER_TABLE, as_bytes, column, cut, free_prefix, only_keyed, row_key, tidy
 from derivatrace.llm.components import components
 
 WORDS, SEED, RADIUS, TILE, SUBTILE, STEP = 4, 42, 4, 4096, 512, 1 << 15
@@ -63,6 +63,7 @@ def with_fingerprints(docs: DataFrame, *, text: str, name: str, k: int = WORDS)
                 s = b.slice(i, 256)
                 prints = np.array([fingerprint(t, k) for t in as_bytes(s, text)], np.uint64).view(np.int64)
                 yield pa.RecordBatch.from_arrays([*[s.column(c) for c in kept], pa.array(prints)], names=[*kept, name])
+        tidy()
 
     return docs.mapInArrow(make, T.StructType([*[docs.schema[c] for c in kept], T.StructField(name, T.LongType())]))
 
@@ -195,11 +196,12 @@ def near_duplicates(docs: DataFrame, *, id_col: str = "doc_id", text: str = "tex
 
 def one_of_each(docs: DataFrame, *, id_col: str = "doc_id", text: str = "text", radius: int = RADIUS, k: int = WORDS) -> DataFrame:
     """One document of each component (least id, null ids last, any of equal rows), with its own columns."""
-    node, row = fresh(docs, "node"), fresh(docs, "row")
-    if node.startswith(row) or row.startswith(node):
-        row += "_r"
-    marked = cut(with_fingerprints(docs, text=text, name=node, k=k).withColumn(row, F.monotonically_increasing_id()), "fingerprinted")
-    lean = marked.select(F.col(node), column(marked, id_col).alias("i"), F.col(row).alias("r"))
-    heads = classes(lean, node, F.struct(F.col("i").isNull().alias("a"), F.col("i").alias("b"), F.col("r").alias("c")), radius)
-    keep = heads.select(F.col("head.c").alias(row)).distinct()
-    return marked.join(keep, row, "left_semi").select(*[column(marked, c) for c in docs.columns])
+    p = free_prefix(docs, "s")
+    lean = docs.select(column(docs, id_col).alias(f"{p}id"), row_key(docs, text).alias(f"{p}key"), column(docs, text).alias("__text"))
+    prints = cut(with_fingerprints(lean, text="__text", name="node", k=k), "fingerprints")
+    heads = classes(prints, "node", F.struct(F.col(f"{p}id").isNull().alias("a"), F.col(f"{p}id").alias("b"), F.col(f"{p}key").alias("c")), radius)
+    keep = heads.select(F.col("head.b").alias(f"{p}id"), F.col("head.c").alias(f"{p}key")).distinct()
+    kept = only_keyed(docs, keep, id_col, (text,), p)
+    if not prints.groupBy(f"{p}id", f"{p}key").agg(F.count(F.lit(1)).alias("n")).where("n > 1").isEmpty():
+        kept = kept.withColumn(f"{p}own_id", column(kept, id_col)).dropDuplicates([f"{p}own_id", f"{p}own"])
+    return kept.select(*[column(kept, c) for c in docs.columns])
