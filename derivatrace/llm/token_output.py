@@ -18,7 +18,6 @@ import re
 import struct
 import zlib
 from collections.abc import Iterator
-from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -28,7 +27,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from derivatrace.llm.common import column, fresh_path
+from derivatrace.llm.common import column, fresh_path, tidy
 
 MAGIC, BLOCK, SEGMENT_IDS = b"PKID", 4096, 1 << 18
 HEADER = struct.Struct("<4sBxxxQII")
@@ -77,6 +76,22 @@ def unpack(segment: bytes, start: int = 0, stop: int | None = None) -> np.ndarra
 
 #: Characters of which the regex library and the tokeniser are known to agree on letters, digits and spaces.
 _UNSURE = re.compile("[^\t\n\r\x20-\x7e\xa1-ɏΑ-ΡΣ-ώЀ-ҁҊ-ԯぁ-ゖァ-ヺ一-龥가-힣]")
+def even(text: str) -> bool:
+    """Whether words stand between single spaces or line ends: there the pre-tokeniser cuts before each of these."""
+    return bool(text) and text[0] not in " \n" and text[-1] not in " \n" and not ("  " in text or "\n\n" in text or " \n" in text or "\n " in text or "\t" in text or "\r" in text or unsure(text))
+
+
+def unsure(text: str) -> bool:
+    """Whether it has a character beyond those; printable Latin-1 is told quickly."""
+    try:
+        text.encode("latin-1")
+        if text.replace("\n", "").isprintable():
+            return False
+    except UnicodeEncodeError:
+        pass
+    return bool(_UNSURE.search(text))
+
+
 #: Between a letter or digit and a space before another one, the byte-level pre-tokeniser always cuts.
 _CUT = re.compile("(?<=[A-Za-z0-9])(?= [A-Za-z0-9])")
 _PIECE = 1 << 19
@@ -94,11 +109,11 @@ def cuts(text: str) -> Iterator[str]:
 class Encoder:
     """Encodes texts with a file of the tokenizers library.
 
-    Where the file is plain byte-level BPE, texts are split as its pre-tokeniser splits, and each distinct pre-token is
-    encoded once and kept, up to ``most`` of them; other files and unusual characters go through the library whole.
+    Where the file is plain byte-level BPE, texts are split where its pre-tokeniser splits, and each distinct piece is
+    encoded once and kept: up to ``most`` that were met lately, and as many from the time before.
     """
 
-    def __init__(self, path: str, most: int = 500_000):
+    def __init__(self, path: str, most: int = 250_000):
         import os
 
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # a task has one core
@@ -112,42 +127,91 @@ class Encoder:
         self.pattern = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+") if plain else None  # fixed value
         self.bits = width(self.tokenizer.get_vocab_size())
         self.kind = "<u2" if self.bits <= 16 else "<u4"
-        self.most, self.known = most, {}
-
-    def _learn(self, words: list[str]) -> None:
-        made = self.tokenizer.encode(words, is_pretokenized=True, add_special_tokens=False)
-        ids = np.array(made.ids, self.kind).tobytes()
+        # Byte-level files write a space as this letter.
+        vocabulary = self.tokenizer.get_vocab()
+        self.after_space = np.zeros(max(vocabulary.values(), default=0) + 1, bool)
+        self.after_space[[i for t, i in vocabulary.items() if t.startswith("\u0120")]] = True
+        self.most = most
+        self.known: dict[str, bytes] = {}
+        self.spaced: dict[str, bytes] = {}
+        self.older: dict[str, bytes] = {}
+
+    def _age(self) -> None:
+        """Forget the pieces that weren't met since the last time; frequent ones stay known."""
+        if len(self.known) > self.most // 4:
+            self.known = {}
+        if len(self.spaced) > self.most:
+            self.older, self.spaced = self.spaced, {}
+
+    def _learn(self, known: dict[str, bytes], words: list[str], before: str = "") -> None:
+        """Keep the ids of each word, as it stands after ``before``."""
+        for i in range(0, len(words), 50_000):
+            part = words[i : i + 50_000]
+            # A list of words is encoded word by word, in one call.
+            made = self.tokenizer.encode([before + w for w in part], is_pretokenized=True, add_special_tokens=False)
+            ids, step = np.array(made.ids, self.kind).tobytes(), np.dtype(self.kind).itemsize
+            ends = (np.searchsorted(np.array(made.word_ids), np.arange(len(part) + 1)) * step).tolist()
+            known.update(zip(part, [ids[a:b] for a, b in zip(ends, ends[1:], strict=False)], strict=True))
+
+    def _learn_spaced(self, words: list[str]) -> None:
+        """The same for words after a space: encoded in runs, and told apart as only their first ids hold a space."""
         step = np.dtype(self.kind).itemsize
-        ends = (np.searchsorted(np.array(made.word_ids), np.arange(len(words) + 1)) * step).tolist()
-        self.known.update(zip(words, [ids[a:b] for a, b in zip(ends, ends[1:], strict=False)], strict=True))
+        for i in range(0, len(words), 50_000):
+            part = words[i : i + 50_000]
+            made = self.tokenizer.encode_batch_fast([" " + " ".join(part[k : k + 500]) for k in range(0, len(part), 500)], add_special_tokens=False)
+            ids = np.concatenate([np.array(m.ids, self.kind) for m in made])
+            ends = np.append(np.flatnonzero(self.after_space[ids]), len(ids)).tolist()
+            if len(ends) != len(part) + 1:
+                self._learn(self.spaced, part, " ")
+                continue
+            flat = ids.tobytes()
+            self.spaced.update(zip(part, [flat[a * step : b * step] for a, b in zip(ends, ends[1:], strict=False)], strict=True))
 
     def whole(self, text: str) -> bytes:
         return np.array(self.tokenizer.encode_batch_fast([text], add_special_tokens=False)[0].ids, self.kind).tobytes()
 
+    def pieces(self, text: str) -> list[bytes]:
+        return [b"".join(self.encode([x])) for x in cuts(text)]
+
     def encode(self, texts: list[str]) -> list[bytes]:
-        """Each text's ids, little-endian."""
-        split: list[list[str] | bytes] = []
+        """Each text's ids, little-endian.
+
+        Even texts are cut into words after a space and words that start a line; others into the pre-tokeniser's own
+        pieces; those with unusual characters, or of files that aren't plain byte-level BPE, go through the library whole.
+        """
+        if self.pattern is None:
+            return [self.whole(t) for t in texts]
+        self._age()
+        split: list = []
+        firsts, rest = {"\n"}, set()
         for text in texts:
-            if self.pattern is None:
+            if len(text) > _PIECE and _CUT.search(text, _PIECE):
+                split.append(b"".join(self.pieces(text)))
+            elif even(text):
+                lines = [line.split(" ") for line in text.split("\n")]
+                for line in lines:
+                    firsts.add(line[0])
+                    rest.update(line[1:])
+                split.append(lines)
+            elif unsure(text):
                 split.append(self.whole(text))
-            elif _UNSURE.search(text):
-                split.append(b"".join(map(self.whole, cuts(text))))
             else:
-                split.append(self.pattern.findall(text) if len(text) <= _PIECE else b"".join(b"".join(self.encode([x])) for x in cuts(text)) if _CUT.search(text, _PIECE) else self.whole(text))
-        if len(self.known) > self.most:
-            self.known.clear()
-        new = list(set(chain.from_iterable(x for x in split if isinstance(x, list))).difference(self.known))
-        for i in range(0, len(new), 50_000):
-            self._learn(new[i : i + 50_000])
-        get = self.known.__getitem__
-        return [x if isinstance(x, bytes) else b"".join(map(get, x)) for x in split]
+                firsts.update(words := self.pattern.findall(text))
+                split.append(tuple(words))
+        self._learn(self.known, [w for w in firsts if w not in self.known])
+        rest.difference_update(self.spaced)
+        again = rest.intersection(self.older)
+        self.spaced.update((w, self.older[w]) for w in again)
+        self._learn_spaced(list(rest.difference(again)))
+        one, get, line_end = self.known.__getitem__, self.spaced.__getitem__, self.known["\n"]
+        return [x if isinstance(x, bytes) else b"".join(map(one, x)) if isinstance(x, tuple) else line_end.join([one(line[0]) + b"".join(map(get, line[1:])) for line in x]) for x in split]
 
 
 _ENCODERS: dict[str, Encoder] = {}
 
 
 def encoder(path: str) -> Encoder:
-    """One a worker process: the tokeniser and its known pre-tokens outlive a task."""
+    """One a worker process: the tokeniser and the pieces it knows outlive a task."""
     if path not in _ENCODERS:
         _ENCODERS[path] = Encoder(path)
     return _ENCODERS[path]
@@ -200,6 +264,7 @@ def write_ids(docs: DataFrame, path: str, *, tokenizer: str, id_col: str = "doc_
                     ids, docs_, lengths, held = [], [], [], 0
         if docs_:
             yield segment()
+        tidy()
 
     ordered.mapInArrow(make, SEGMENTS).write.parquet(path)
 
@@ -253,6 +318,7 @@ def _read(spark: SparkSession, path: str, last: list[T.StructField], kind: pa.Da
                     values.append(value(ids[at : at + n]))
                     at += n
                 yield pa.RecordBatch.from_arrays([pa.array(ids_, pa.int64()), pa.array(begins, pa.int64()), pa.array(lengths, pa.int64()), pa.array(values, kind)], names=["doc_id", "start", "n_tokens", last[0].name])
+        tidy()
 
     out = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("start", T.LongType()), T.StructField("n_tokens", T.LongType()), *last])
     return spark.read.schema(SEGMENTS).parquet(path).select("part", "part_start", "doc_ids", "lengths", "packed").mapInArrow(make, out)
