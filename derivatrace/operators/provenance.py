@@ -37,8 +37,11 @@ def _named(df: DataFrame, args: tuple, i: int, labels: bool) -> DataFrame:
 
 
 def _join_order(rows: Iterable[tuple]) -> list[tuple[int, tuple]]:
-    """Atoms so that each shares a variable with those before where it can; constants first."""
-    rest = sorted(enumerate(rows), key=lambda r: (-sum(t[0] == "c" for t in r[1][1]), r[0]))
+    """Atoms so that each shares a variable with those before where it can; constants first, then roles before concepts.
+
+    A concept atom over a variable that a role atom has filters only: as a later semi-join it multiplies nothing.
+    """
+    rest = sorted(enumerate(rows), key=lambda r: (-sum(t[0] == "c" for t in r[1][1]), -len(r[1][1]), r[0]))
     out, bound = [], set()
     while rest:
         pick = next((r for r in rest if bound & {t for t in r[1][1] if t[0] in "hv"}), rest[0])
@@ -51,7 +54,7 @@ def _join_order(rows: Iterable[tuple]) -> list[tuple[int, tuple]]:
 def join_atoms(rows: Iterable[tuple], frame: Callable[[int, str, tuple], DataFrame], head: Iterable[str], labels: bool = True) -> DataFrame:
     """One frame for a body: equi-joins on shared variables. frame(i, pred, args) has a0, [a1,] [mono].
 
-    Without labels an atom that only filters is a semi-join, and projections are made distinct early.
+    Without labels an atom that only filters is a semi-join, and projections and derived facts are made distinct early.
     """
     ordered = _join_order(rows)
     wanted = set(head)
@@ -60,7 +63,7 @@ def join_atoms(rows: Iterable[tuple], frame: Callable[[int, str, tuple], DataFra
         df = _named(frame(i, row[0], row[1]), row[1], i, labels)
         later = {t[1] for _, r in ordered[n + 1 :] for t in r[1] if t[0] in "hv"}
         if out is None:
-            out = df
+            out = df if labels else df.distinct()
         else:
             shared = [c for c in df.columns if c in out.columns]
             new = set(df.columns) - set(shared)
@@ -68,6 +71,7 @@ def join_atoms(rows: Iterable[tuple], frame: Callable[[int, str, tuple], DataFra
                 out = out.join(df, shared, "left_semi") if shared else out.join(F.broadcast(df.limit(1).select(F.lit(1).alias("_one"))), how="cross").drop("_one")
             else:
                 # Without a shared variable the body is a product of two independent questions by its meaning.
+                df = df if labels else df.distinct()
                 out = out.join(df, shared) if shared else out.crossJoin(df)
         keep = [c for c in out.columns if c in wanted | later or c.startswith("_m")]
         dropped = len(keep) < len(out.columns)
