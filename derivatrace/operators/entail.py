@@ -62,7 +62,7 @@ def match(instance: Instance, bodies: Iterable[tuple], level: str = "general") -
     """One frame that has a row where some body of (pred, args, mono) rows matches the derived facts; None: no body can."""
     frames = []
     for body in bodies:
-        if any(not instance.branches(p, q, level=level) for p, q, _ in body):
+        if not all(_possible(instance, *row) for row in body):
             continue
 
         def frame(i, pred, args, body=body):
@@ -73,6 +73,16 @@ def match(instance: Instance, bodies: Iterable[tuple], level: str = "general") -
     return union(frames) if frames else None
 
 
+def _possible(instance: Instance, pred: str, args: tuple, mono: Monomial) -> bool:
+    """Whether some fact could have this monomial: it must hold a rule's labels, and no more beside them than rows the rule reads."""
+    if pred in instance.given:
+        return True
+    for r in instance.rules_for(pred, args):
+        if set(r.label) <= set(mono) and (r.body.arrays or len(set(mono)) <= len(set(r.label)) + len(r.body.labels)):
+            return True
+    return False
+
+
 def _literal(instance: Instance, mono: Monomial, level: str):
     if level == "general" and len(set(mono)) < len(mono):
         return F.array(*map(F.lit, sorted(mono)))

@@ -17,7 +17,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from derivatrace.functions.monomials import mul, mul_idem, power, within
-from derivatrace.plans.cq import CQ, is_standard
+from derivatrace.plans.cq import CQ, canonical, is_standard
 from derivatrace.plans.instance import Bind, Instance, union
 from derivatrace.plans.rewrite import atom_closure, by_shape, foldings, pruned, rewrite_compute, rewrite_literal
 
@@ -164,8 +164,10 @@ class UnionPlan:
 
 
 def unfold(instance: Instance, cq: CQ, *, optimise: str = "none", prune_templates: bool = True) -> UnionPlan:
-    """The union that a rewriting engine runs; ``certain`` merges what plain answers need once (labels would be lost).
+    """The union that a rewriting engine runs.
 
+    optimise: ``none``; ``safe`` leaves out branches that another one repeats (same atoms, rules and labels in another
+    order), which no label can tell apart; ``certain`` also drops contained bodies and labels, as plain answers allow.
     prune_templates leaves out branches whose constants, or whose joins of individuals, no template can make.
     """
     found = rewrite_compute(cq, instance.ontology.positive)
@@ -180,6 +182,12 @@ def unfold(instance: Instance, cq: CQ, *, optimise: str = "none", prune_template
             if prune_templates and not _joinable(body, rules):
                 continue
             branches.append((body, labels, rules))
+    if optimise == "safe":
+        seen: dict[tuple, tuple] = {}
+        for body, labels, rules in branches:
+            key = canonical((p, q, e, r.name, r.body.key) for (p, q, e), r in zip(body, rules, strict=True)), labels
+            seen.setdefault(key, (body, labels, rules))
+        branches = list(seen.values())
     return UnionPlan(cq, branches)
 
 

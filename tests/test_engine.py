@@ -143,6 +143,8 @@ def test_unfolding_and_its_measure(deep):
     assert measures.plan_unions(compute_provenance(deep, cq, physical="unfold")) == plan.unions == measures.union_count(deep, cq)
     d09 = mixes.DEEP["D09"].cq
     assert measures.union_count(deep, d09, certain=True) < measures.union_count(deep, d09)
+    both = parse_cq("q() :- basedIn(x, n), basedIn(y, n)")  # customer and supplier, supplier and customer: one branch
+    assert len(unfold(deep, both, optimise="safe").branches) < len(unfold(deep, both).branches)
     one = instantiate(d09, {"p": "part/0"})
     assert measures.union_count(deep, one) <= measures.union_count(deep, one, prune_templates=False)
 
