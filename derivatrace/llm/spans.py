@@ -28,7 +28,7 @@ from pyspark.sql import types as T
 
 from derivatrace.llm.common import WORD_TABLE, column, cut, map_columns
 
-SENTENCES, WORDS, LONG, ANCHOR = 2, 20, 30, 6
+SENTENCES, WORDS, LONG, ANCHOR = 2, 25, 14, 8
 _END = re.compile(r"(?<=[.!?…。！？])\s+|\n+")
 _TOKEN = re.compile(r"\S+\s*")
 
@@ -107,7 +107,7 @@ def repeated_runs(spans: DataFrame) -> DataFrame:
 
 
 def dedup_spans(docs: DataFrame, *, id_col: str = "doc_id", text: str = "text") -> DataFrame:
-    """doc_id, n_sentences, n_removed, removed (start, end in code points) and the text without removed sentences."""
+    """doc_id, n_removed (sentences), removed (start, end in code points) and the text without removed sentences."""
     body = column(docs, text)
     lean = docs.select(column(docs, id_col).alias("doc_id"), body.alias("text"), F.xxhash64(column(docs, id_col), body).alias("key"))
     spans = cut(span_rows(lean.where(body.isNotNull())), "spans")
@@ -119,21 +119,19 @@ def dedup_spans(docs: DataFrame, *, id_col: str = "doc_id", text: str = "text")
             for lo in range(0, b.num_rows, 256):
                 s = b.slice(lo, 256)
                 rows = [clean(t, m) for t, m in zip(s.column("text").to_pylist(), s.column("marks").to_pylist(), strict=True)]
-                n, k, gone, left = zip(*rows, strict=True)
+                k, gone, left = zip(*rows, strict=True)
                 kind = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))
-                yield pa.RecordBatch.from_arrays([s.column("doc_id"), pa.array(n, pa.int64()), pa.array(k, pa.int64()), pa.array([[{"start": a, "end": e} for a, e in g] for g in gone], kind), pa.array(left, pa.string())], names=["doc_id", "n_sentences", "n_removed", "removed", "text"])
+                yield pa.RecordBatch.from_arrays([s.column("doc_id"), pa.array(k, pa.int64()), pa.array([[{"start": a, "end": e} for a, e in g] for g in gone], kind), pa.array(left, pa.string())], names=["doc_id", "n_removed", "removed", "text"])
 
     removed = T.ArrayType(T.StructType([T.StructField("start", T.LongType()), T.StructField("end", T.LongType())]))
-    return map_columns(joined, [T.StructField("n_sentences", T.LongType()), T.StructField("n_removed", T.LongType()), T.StructField("removed", removed), T.StructField("text", T.StringType())], make, keep=["doc_id"])
+    return map_columns(joined, [T.StructField("n_removed", T.LongType()), T.StructField("removed", removed), T.StructField("text", T.StringType())], make, keep=["doc_id"])
 
 
-def clean(text: str | None, marks: list[dict] | None) -> tuple[int, int, list[tuple[int, int]], str | None]:
-    """Sentences, removed ones, their joined stretches, and the text that is left."""
-    if text is None:
-        return 0, 0, [], None
+def clean(text: str | None, marks: list[dict] | None) -> tuple[int, list[tuple[int, int]], str | None]:
+    """Removed sentences, their joined stretches, and the text that is left."""
+    if text is None or not marks:
+        return 0, [], text
     found = sentences(text)
-    if not marks:
-        return len(found), 0, [], text
     gone = sorted({i for m in marks for i in range(m["at"], m["at"] + m["n"])})
     cutouts: list[tuple[int, int]] = []
     for i in gone:
@@ -147,4 +145,4 @@ def clean(text: str | None, marks: list[dict] | None) -> tuple[int, int, list[tu
         left.append(text[at:a])
         at = b
     left.append(text[at:])
-    return len(found), len(gone), cutouts, "".join(left)
+    return len(gone), cutouts, "".join(left)
