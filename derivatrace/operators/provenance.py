@@ -109,25 +109,39 @@ def _empty(instance: Instance, head: tuple[str, ...]) -> DataFrame:
 
 
 def atom_facts(instance: Instance, pred: str, args: tuple, *, level: str = "idempotent", labels: bool = True, only: Column | None = None, bind: Bind | None = None) -> DataFrame:
-    """closure form of one atom: all facts that yield it, each rule read once for all its ways."""
-    frames = []
+    """closure form of one atom: all facts that yield it, each rule read once for all its ways.
+
+    Rules over one table with equal heads share a scan.
+    """
+    frames: list[tuple[tuple, DataFrame]] = []
+    shared: dict[tuple, list] = {}
     for (p, q), ways in sorted(atom_closure(pred, args, list(instance.ontology.positive)).items()):
-        # The atom's own arguments in terms of the yielding fact's.
-        at = [next((i for i, t in enumerate(q) if t == a and t[0] != "b"), None) for a in args]
-        if len(q) == 2 and len(args) == 2 and q[0] == q[1]:
-            at = [0, 1]
-        for df in instance.branches(p, q, level=level, labels=labels, bind=bind):
+        alone = []
+        for r in instance.rules_for(p, q, bind):
+            if r.body.single:
+                shared.setdefault((q, r.body.single[0], r.head), []).append((r, sorted(ways)))
+            else:
+                alone.append(instance.rule_facts(r, q, level=level, labels=labels, bind=bind))
+        if (given := instance.given_facts(p, q, labels, bind)) is not None:
+            alone.append(given)
+        for df in alone:
             if labels:
                 df, more = _multiply(df, sorted(ways), instance, False)
                 df = df.withColumn("mono", mul_idem(F.col("mono"), *more)) if more else df
-                if only is not None:
-                    df = df.where(within(F.col("mono"), only))
-            for k, t in enumerate(q):  # a repeated variable of the atom, seen through a swap
-                if t[0] in "hv" and t in q[:k]:
-                    df = df.where(F.col(f"a{q.index(t)}") == F.col(f"a{k}"))
-            cols = [(F.lit(None).cast("string") if i is None else F.col(f"a{i}")).alias(f"a{n}") for n, i in enumerate(at)]
-            frames.append(df.select(*cols, *["mono"] * labels))
-    return union(frames) if frames else instance.empty(len(args), labels)
+            frames.append((q, df))
+    frames += [(q, instance.shared_scan(group, q, labels=labels, bind=bind)) for (q, _, _), group in shared.items()]
+    out = []
+    for q, df in frames:
+        if labels and only is not None:
+            df = df.where(within(F.col("mono"), only))
+        for k, t in enumerate(q):  # a repeated variable of the atom, seen through a swap
+            if t[0] in "hv" and t in q[:k]:
+                df = df.where(F.col(f"a{q.index(t)}") == F.col(f"a{k}"))
+        # The atom's own arguments in terms of the yielding fact's.
+        at = [next((i for i, t in enumerate(q) if t == a and t[0] != "b"), None) for a in args]
+        cols = [(F.lit(None).cast("string") if i is None else F.col(f"a{i}")).alias(f"a{n}") for n, i in enumerate(at)]
+        out.append(df.select(*cols, *["mono"] * labels))
+    return union(out) if out else instance.empty(len(args), labels)
 
 
 def _closure_form(instance: Instance, cq: CQ, head, only, bind) -> list[DataFrame]:

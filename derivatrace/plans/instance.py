@@ -81,6 +81,34 @@ class Instance:
             cols.append((mul if level == "general" else mul_idem)(self.constant(rule.label), *own, *map(F.col, rule.body.arrays)).alias("mono"))
         return df.select(*cols)
 
+    def shared_scan(self, group: list[tuple[Rule, list[tuple[str, ...]]]], args: tuple, *, labels: bool = True, bind: Bind | None = None) -> DataFrame:
+        """a0, [a1,] mono of several rules over one table with equal heads, each with label sets to multiply in: one scan.
+
+        Every row meets the rules' conditions once; an array of the label sets of those that hold is exploded.
+        """
+        head, (table, _) = group[0][0].head, group[0][0].body.single
+        df = self.labelled(table)
+        for t, wanted in zip(head, constants(args, bind), strict=True):
+            if wanted is not None:
+                df = df.where(t.equals(wanted[0]) if len(wanted) == 1 else t.among(wanted))
+        for t in head:
+            for c in t.columns:
+                df = df.where(F.col(c).isNotNull())
+        conditions = [r.body.single[1] for r, _ in group]
+        if all(conditions):
+            df = df.where(" OR ".join(f"({c})" for c in dict.fromkeys(conditions)))
+        cols = [t.column().alias(f"a{i}") for i, t in enumerate(head)]
+        if not labels:
+            return df.select(*cols)
+        sets: dict[str | None, list[Column]] = {}
+        for (r, ways), c in zip(group, conditions, strict=True):
+            sets.setdefault(c, []).extend(self.constant({*r.label, *w}) for w in ways)
+        arrays = [F.array(*s) if c is None else F.when(F.expr(c), F.array(*s)).otherwise(F.array().cast(f"array<array<{'bigint' if self.hashed else 'string'}>>")) for c, s in sets.items()]
+        every = arrays[0] if len(arrays) == 1 else F.concat(*arrays)
+        if len(sets) == 1 and len(next(iter(sets.values()))) == 1:
+            return df.select(*cols, mul_idem(F.array("_label"), next(iter(sets.values()))[0]).alias("mono"))
+        return df.select(*cols, "_label", F.explode(every).alias("_way")).select(*[f"a{i}" for i in range(len(head))], mul_idem(F.array("_label"), F.col("_way")).alias("mono"))
+
     def given_facts(self, pred: str, args: tuple | None = None, labels: bool = True, bind: Bind | None = None) -> DataFrame | None:
         if (df := self.given.get(pred)) is None:
             return None

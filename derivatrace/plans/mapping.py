@@ -84,6 +84,8 @@ class Body:
     build: Callable[[Instance], DataFrame]
     labels: tuple[str, ...] = ()
     arrays: tuple[str, ...] = ()
+    #: The table and the condition, where the body is one table under its own column names: such rules can share a scan.
+    single: tuple[str, str | None] | None = None
 
 
 def conjunctive(key: str, *atoms: TableAtom, where: str | None = None) -> Body:
@@ -104,7 +106,11 @@ def conjunctive(key: str, *atoms: TableAtom, where: str | None = None) -> Body:
             out = df if out is None else out.join(df, shared)
         return out.where(where) if where else out
 
-    return Body(key, build, tuple(f"_l{i}" for i in range(len(atoms))))
+    single = None
+    if len(atoms) == 1 and all(c == v for c, v in atoms[0].columns.items()):
+        equal = [f"{c} = {v!r}" for c, v in atoms[0].constants.items()]
+        single = atoms[0].table, " AND ".join([*equal, *[f"({where})"] * bool(where)]) or None
+    return Body(key, build, tuple(f"_l{i}" for i in range(len(atoms))), single=single)
 
 
 @dataclass(frozen=True)
