@@ -21,7 +21,7 @@ def _stars(links: DataFrame, smaller: bool) -> DataFrame:
         out = joined.select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(joined.select("u", F.col("m").alias("v")))
     else:
         out = joined.where(F.col("v") > F.col("u")).select(F.col("v").alias("u"), F.col("m").alias("v"))
-    return out.where(F.col("u") != F.col("v")).select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct()
+    return out.where(F.col("u") != F.col("v")).select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v"))
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -33,4 +33,4 @@ def components(links: DataFrame) -> DataFrame:
         if mark == seen or not mark[0]:
             return now.select("u", F.col("v").alias("root"))
         seen = mark
-        now = cut(_stars(_stars(now, smaller=False), smaller=True), "stars")
+        now = cut(_stars(_stars(now, smaller=False), smaller=True).distinct(), "stars")

@@ -150,6 +150,7 @@ def compare(dealt: DataFrame, radius: int) -> DataFrame:
             held.append(rows[start:])
         if held:
             yield from close(np.concatenate(held))
+        tidy()
 
     return dealt.mapInArrow(make, "u long, v long")
 
