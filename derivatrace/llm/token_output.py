@@ -188,10 +188,12 @@ class Encoder:
             if len(text) > _PIECE and _CUT.search(text, _PIECE):
                 split.append(b"".join(self.pieces(text)))
             elif even(text):
-                lines = [line.split(" ") for line in text.split("\n")]
-                for line in lines:
-                    firsts.add(line[0])
-                    rest.update(line[1:])
+                lines = []
+                for line in text.split("\n"):
+                    first, *after = line.split(" ")
+                    firsts.add(first)
+                    rest.update(after)
+                    lines.append((first, after))
                 split.append(lines)
             elif unsure(text):
                 split.append(self.whole(text))
@@ -199,12 +201,12 @@ class Encoder:
                 firsts.update(words := self.pattern.findall(text))
                 split.append(tuple(words))
         self._learn(self.known, [w for w in firsts if w not in self.known])
-        rest.difference_update(self.spaced)
-        again = rest.intersection(self.older)
+        rest = rest.difference(self.spaced)
+        again = {w for w in rest if w in self.older}
         self.spaced.update((w, self.older[w]) for w in again)
-        self._learn_spaced(list(rest.difference(again)))
+        self._learn_spaced(list(rest - again))
         one, get, line_end = self.known.__getitem__, self.spaced.__getitem__, self.known["\n"]
-        return [x if isinstance(x, bytes) else b"".join(map(one, x)) if isinstance(x, tuple) else line_end.join([one(line[0]) + b"".join(map(get, line[1:])) for line in x]) for x in split]
+        return [x if isinstance(x, bytes) else b"".join(map(one, x)) if isinstance(x, tuple) else line_end.join([one(first) + b"".join(map(get, after)) for first, after in x]) for x in split]
 
 
 _ENCODERS: dict[str, Encoder] = {}
@@ -302,7 +304,7 @@ def read_ids(spark: SparkSession, path: str) -> DataFrame:
 
 def read_digests(spark: SparkSession, path: str) -> DataFrame:
     """doc_id, start, n_tokens and ids_crc32 (of the ids as little-endian unsigned 32-bit integers), from the files."""
-    return _read(spark, path, [T.StructField("ids_crc32", T.LongType())], pa.int64(), lambda ids: zlib.crc32(ids.astype("<u4").tobytes()))
+    return _read(spark, path, [T.StructField("ids_crc32", T.LongType())], pa.int64(), lambda ids: zlib.crc32(np.ascontiguousarray(ids, "<u4")))
 
 
 def _read(spark: SparkSession, path: str, last: list[T.StructField], kind: pa.DataType, value) -> DataFrame:
