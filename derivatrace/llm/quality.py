@@ -1,9 +1,11 @@
 """Quality rules with risk-controlled thresholds, in DataFrame functions only.
 
-Each text gets five measures (higher is worse). For each stratum and measure a fixed grid of cutoffs is tried on the
-labelled rows: a cutoff is certified when the exact binomial tail shows, at the error level left after correction for
-all cutoffs tried, that at most its share ``alpha / number of measures`` of good texts reaches it. Of the certified
-cutoffs that one counts which parts bad from good texts best (ties: the highest). A text is rejected by a base rule or when a measure reaches its stratum's cutoff.
+Each text gets five measures (higher is worse). For each stratum a short list of nested rules is laid out from the
+labelled-bad and the unlabelled texts alone: measures in order of how well a cutoff parts the two, each with at most
+two cutoffs of a fixed grid, the higher first; a rule holds all cutoffs listed so far. The labelled-good texts, which
+had no say in the list, then test the rules in that order, until one fails: a rule is certified when the exact binomial
+tail shows that at most the share ``alpha`` of good texts is rejected by it as a whole. As the order is fixed before the test, the
+error level is shared among strata only. A text is rejected by a base rule or when a measure reaches its stratum's cutoff.
 
 Nulls and edges: a null text has no words (and so fails the base rule), a null stratum is one of its own, labels that
 are null or of unknown documents are ignored, several labels of one document count as good only if all say so, and a
@@ -22,8 +24,10 @@ from derivatrace.llm.common import column, cut, free_prefix, only_keyed, row_key
 SPACES = r"[\x20\x09-\x0D]+"
 SYMBOLS = r"[^#*$%&|<>]+"
 MEASURES = ("symbols", "dup_lines", "repeats", "shouting", "short_lines")
-#: Cutoffs tried for each measure, as shares: fixed beforehand, so that the holdout doesn't choose them.
+#: Cutoffs that a list may hold, as shares.
 GRID = tuple(i / 50 for i in range(1, 51))
+#: A measure is listed only if a cutoff reaches so many more of the bad than of the unlabelled texts.
+LEAST_GAIN = 0.1
 
 
 def count_columns(df: DataFrame, text: str, prefix: str) -> DataFrame:
@@ -101,32 +105,46 @@ def binomial_tail(k: Column, n: Column, share_: float) -> Column:
     return F.when(k >= n, F.lit(1.0)).otherwise(F.aggregate(steps, start, step, lambda acc: acc["s"]))
 
 
+def rule_lists(held: DataFrame, p: str) -> DataFrame:
+    """<p>s and seq, the (measure's place, grid step) to test in order; good texts aren't looked at."""
+    rest = held.where(F.col("good").isNull() | (F.col("good") != 1))
+    by_step = rest.select(f"{p}s", F.col("good").isNotNull().alias("bad"), F.posexplode("b").alias("m", "v")).groupBy(f"{p}s", "m", "v").agg(F.count_if("bad").alias("d"), F.count_if(~F.col("bad")).alias("u"))
+    packed = by_step.groupBy(f"{p}s", "m").agg(F.sum("d").alias("nd"), F.sum("u").alias("nu"), F.collect_list(F.struct("v", "d", "u")).alias("vs")).where("nd > 0")
+    tried = packed.select("*", F.explode(F.sequence(F.lit(1), F.lit(len(GRID)))).alias("b"))
+    above = lambda c: F.aggregate(F.filter("vs", lambda x: x["v"] >= F.col("b")), F.lit(0).cast("long"), lambda s, x: s + x[c])
+    tried = tried.select(f"{p}s", "m", "b", (above("d") / F.col("nd") - F.when(F.col("nu") > 0, above("u") / F.col("nu")).otherwise(0.0)).alias("gain"))
+    best = tried.groupBy(f"{p}s", "m").agg(F.max("gain").alias("g"), F.collect_list(F.struct("b", "gain")).alias("bs")).where(F.col("g") >= LEAST_GAIN)
+    highest = lambda share_: F.array_max(F.transform(F.filter("bs", lambda x: x["gain"] >= F.col("g") * share_), lambda x: x["b"]))
+    listed = best.select(f"{p}s", F.struct((-F.col("g")).alias("g"), "m", F.array_distinct(F.array(highest(0.5), highest(1.0))).alias("bs")).alias("x"))
+    seq = F.flatten(F.transform(F.sort_array(F.collect_list("x")), lambda x: F.transform(x["bs"], lambda b: F.struct(x["m"].alias("m"), b.alias("b")))))
+    return listed.groupBy(f"{p}s").agg(seq.alias("seq"))
+
+
 def certified_cutoffs(measured: DataFrame, labels: DataFrame, *, id_col: str, stratum: str, p: str, alpha: float, delta: float) -> DataFrame:
-    """One row for each stratum: its key and, for each measure, the chosen cutoff (null: none).
+    """One row for each stratum with a list: its key and, for each measure, the certified cutoff (null: none).
 
     measured has one row a document with its id, stratum and the counts under the prefix p. The error level delta is
-    shared evenly among all cutoffs of all measures of all strata that have labels (Bonferroni).
+    shared evenly among the strata that have good labels (Bonferroni); within one, rules are tested in a fixed sequence.
     """
-    marked = labels.where(column(labels, "quality").isNotNull() & column(labels, "doc_id").isNotNull()).groupBy(column(labels, "doc_id").alias(f"{p}id")).agg(F.min("quality").alias(f"{p}good"))
-    held = (
-        measured.where(~base_failed(p))
-        .select(column(measured, id_col).alias(f"{p}id"), column(measured, stratum).alias(f"{p}s"), *[c.alias(f"{p}m_{m}") for m, c in measure_columns(p).items()])
-        .join(marked, f"{p}id")
-    )
-    # Labelled texts by the highest grid step that each measure reaches: at most 51 x measures rows for each stratum.
-    steps = held.select(f"{p}s", F.col(f"{p}good").alias("good"), F.explode(F.array(*[F.struct(F.lit(m).alias("m"), F.floor(F.col(f"{p}m_{m}") * len(GRID) + F.lit(1e-9)).cast("int").alias("b")) for m in MEASURES])).alias("x"))
-    by_step = cut(steps.groupBy(f"{p}s", F.col("x.m").alias("m"), F.col("x.b").alias("b")).agg(F.count_if(F.col("good") == 1).alias("c"), F.count_if(F.col("good") != 1).alias("d")), "quality-steps")
-    packed = by_step.groupBy(f"{p}s", "m").agg(F.sum("c").alias("n"), F.sum("d").alias("nd"), F.collect_list(F.struct("b", "c", "d")).alias("bs"))
-    families = by_step.select(f"{p}s", "m").distinct().count()
-    tried = packed.select(f"{p}s", "m", "n", "nd", "bs", F.explode(F.sequence(F.lit(1), F.lit(len(GRID)))).alias("b"))
-    above = lambda c: F.aggregate(F.filter("bs", lambda x: x["b"] >= F.col("b")), F.lit(0).cast("long"), lambda s, x: s + x[c])
-    tried = tried.select(f"{p}s", "m", "n", "nd", "b", above("c").alias("k"), above("d").alias("kd"))
-    each, level = alpha / len(MEASURES), delta / max(1, families * len(GRID))
+    marked = labels.where(column(labels, "quality").isNotNull() & column(labels, "doc_id").isNotNull()).groupBy(column(labels, "doc_id").alias(f"{p}id")).agg(F.min("quality").alias("good"))
+    steps = F.array(*[F.floor(c * len(GRID) + F.lit(1e-9)).cast("int") for c in measure_columns(p).values()])
+    held = measured.where(~base_failed(p)).select(column(measured, id_col).alias(f"{p}id"), column(measured, stratum).alias(f"{p}s"), steps.alias("b"))
+    held = cut(held.join(marked, f"{p}id", "left").select(f"{p}s", "good", "b"), "quality-held")
+    lists = cut(rule_lists(held, p), "quality-lists")
+    right = held.where("good = 1")
+    level = delta / max(1, right.select(f"{p}s").distinct().count())
+    same = lambda a, b: a[f"{p}s"].eqNullSafe(b[f"{p}s"])
+    # A good text counts where it is first rejected; the rules are nested, so a rule's count is the sum up to it.
+    met = right.join(lists, same(right, lists)).select(right[f"{p}s"], "seq", F.array_position(F.transform("seq", lambda x: F.get("b", x["m"]) >= x["b"]), True).alias("at"))
+    counts = met.groupBy(f"{p}s", "seq", "at").agg(F.count(F.lit(1)).alias("c"))
+    counts = counts.groupBy(f"{p}s", "seq").agg(F.sum("c").alias("n"), F.collect_list(F.struct("at", "c")).alias("cs"))
+    tests = counts.select(f"{p}s", "n", "cs", F.posexplode("seq").alias("i", "x"))
+    tests = tests.select(f"{p}s", "n", "i", "x", F.aggregate(F.filter("cs", lambda y: y["at"].between(1, F.col("i") + 1)), F.lit(0).cast("long"), lambda s, y: s + y["c"]).alias("k"))
     # The tail is worth summing only up to the mean.
-    sure = tried.where((F.col("k") <= F.col("n") * each) & (F.col("kd") * F.col("n") > F.col("k") * F.col("nd")) & (binomial_tail(F.col("k"), F.col("n"), each) <= level))
-    gain = F.struct((F.col("kd") / F.col("nd") - F.col("k") / F.col("n")).alias("gain"), "b")
-    best = sure.groupBy(f"{p}s", "m").agg(F.max(gain)["b"].alias("b"))
-    return best.groupBy(f"{p}s").agg(*[F.max(F.when(F.col("m") == m, F.col("b") / len(GRID))).alias(f"{p}cut_{m}") for m in MEASURES])
+    passed = F.when(F.col("k") <= F.col("n") * alpha, binomial_tail(F.col("k"), F.col("n"), alpha) <= level).otherwise(False)
+    done = tests.groupBy(f"{p}s").agg(F.min(F.when(~passed, F.col("i"))).alias("stop"), F.collect_list(F.struct("i", "x")).alias("xs"))
+    sure = lambda j: F.filter("xs", lambda y: (y["x"]["m"] == j) & (F.col("stop").isNull() | (y["i"] < F.col("stop"))))
+    return done.select(f"{p}s", *[(F.array_min(F.transform(sure(j), lambda y: y["x"]["b"])) / len(GRID)).alias(f"{p}cut_{m}") for j, m in enumerate(MEASURES)])
 
 
 def judge(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text: str = "text", stratum: str = "lang", alpha: float = 0.02, delta: float = 0.05) -> tuple[DataFrame, str]:

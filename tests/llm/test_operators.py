@@ -341,6 +341,21 @@ def test_risk_control(spark):
     assert fr.where("kept").count() == 40
 
 
+def test_a_few_hundred_labels_certify(spark):
+    """About 270 good labels in each of four strata are enough for a measure that parts good from bad; about 140 are not."""
+    words = lambda i, bad: " ".join(f"w{i * 61 + j}" + ("$$$$" if bad else "") for j in range(60))
+    rows = [(s * 1000 + i, words(s * 1000 + i, i % 5 == 0), lang) for s, lang in enumerate(("en", "fr", "de", None, "es")) for i in range(200 if lang == "es" else 400)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string").repartition(4)
+    # A seventh has no label: a certified cutoff takes the bad ones of it too.
+    labels = spark.createDataFrame([(d, int(d % 5 > 0), 0) for d, _, _ in rows if d % 7], "doc_id long, quality int, toxic int")
+    out = quality.quality_rules(docs, labels)
+    assert out.where("doc_id < 4000 and kept = (doc_id % 5 > 0)").count() == 1600
+    assert out.where("doc_id >= 4000 and kept").count() == 200
+    # Where one good text in twenty reaches the cutoff too, a bound of 2% can't hold.
+    some = spark.createDataFrame([(d, words(d, d % 5 == 0 or d % 20 == 1), lang) for d, _, lang in rows], docs.schema)
+    assert quality.quality_rules(some, labels).where("kept").count() == len(rows)
+
+
 # 8
 
 
