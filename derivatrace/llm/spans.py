@@ -1,8 +1,8 @@
 """Substring dedup by sliding sentence spans.
 
 A text is split into sentences; one of over ``LONG`` words is split further after words picked by their hash, so the
-pieces depend on content alone. Every run of consecutive sentences, the shortest from each sentence on that has at
-least ``SENTENCES`` sentences and ``WORDS`` words, is hashed (128 bits, over lower-case words), all runs of the corpus
+pieces depend on content alone. Of the runs of consecutive sentences with at least ``SENTENCES`` sentences and ``WORDS``
+words, the shortest from each sentence on and the shortest up to each one are hashed (128 bits, over lower-case words), all runs of the corpus
 are joined, and a sentence is removed where a run that covers it has occurred before. First is the least document id,
 then the place in the text.
 
@@ -17,6 +17,7 @@ from __future__ import annotations
 
 import re
 from collections.abc import Iterator
+from itertools import accumulate
 from zlib import crc32
 
 import numpy as np
@@ -65,17 +66,21 @@ def sentences(text: str) -> list[tuple[int, int, bytes]]:
 
 
 def runs(found: list[tuple[int, int, bytes]]) -> Iterator[tuple[int, int, bytes]]:
-    """(first sentence, number of sentences, hash) of the shortest run from each sentence on that is long enough."""
-    counts = [f.count(b" ") + 1 for _, _, f in found]
-    end, held = 0, 0
-    for i in range(len(found)):
-        while end < len(found) and (held < WORDS or end - i < SENTENCES):
-            held += counts[end]
-            end += 1
-        if held < WORDS or end - i < SENTENCES:
-            return
-        yield i, end - i, xxhash.xxh3_128_digest(b"\n".join(f for _, _, f in found[i:end]))
-        held -= counts[i]
+    """(first piece, number of pieces, hash) of the shortest long-enough run from each piece on and up to each piece."""
+    forms = [f for _, _, f in found]
+    sums = list(accumulate((f.count(b" ") + 1 for f in forms), initial=0))
+    made: set[tuple[int, int]] = set()
+    i = 0
+    for end in range(SENTENCES, len(found) + 1):
+        # The runs from these pieces on end here first, the last of them is the shortest that ends here.
+        before = i
+        while i <= end - SENTENCES and sums[end] - sums[i] >= WORDS:
+            i += 1
+        made.update((a, end) for a in range(before, i))
+        if i:
+            made.add((i - 1, end))
+    for a, e in sorted(made):
+        yield a, e - a, xxhash.xxh3_128_digest(b"\n".join(forms[a:e]))
 
 
 def span_rows(docs: DataFrame) -> DataFrame:

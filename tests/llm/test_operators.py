@@ -441,6 +441,11 @@ def test_shared_passage_goes_from_all_but_the_first(spark):
     assert passage in got[1]["text"] and "second sentence" not in got[3]["text"] and "of its own number 105" in got[5]["text"]
 
 
+def test_runs_end_at_the_last_piece():
+    found = [(0, 1, b" ".join([b"a"] * 14)), (1, 2, b" ".join([b"b"] * 14)), (2, 3, b"c d e")]
+    assert {(at, n) for at, n, _ in spans.runs(found)} == {(0, 2), (0, 3)}
+
+
 # All
 
 
