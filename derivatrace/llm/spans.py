@@ -1,10 +1,12 @@
 """Substring dedup by sliding sentence spans.
 
-A text is split into sentences; one of over ``LONG`` words is split further after words picked by their hash, so the
-pieces depend on content alone. Of the runs of consecutive sentences with at least ``SENTENCES`` sentences and ``WORDS``
-words, the shortest from each sentence on and the shortest up to each one are hashed (128 bits, over lower-case words), all runs of the corpus
-are joined, and a sentence is removed where a run that covers it has occurred before. First is the least document id,
-then the place in the text.
+A text is cut at sentence ends and, where none is near, after words picked by winnowing: each window of ``WINDOW``
+words without a sentence end has a cut after its word of least hash. So cuts depend on the words nearby alone, and every
+stretch of over 50 words that texts share has the same cuts in each of them, from within its first 13 words to within
+its last 14. Of the runs of consecutive pieces with at least ``SENTENCES`` pieces and ``WORDS`` words, the shortest from
+each piece on and the shortest up to each piece are hashed (128 bits, over lower-case words), all runs of the corpus are
+joined, and a piece is removed where a run that covers it has occurred before. These runs cover all that longer
+ones do. First is the least document id, then the place in the text.
 
 Hot runs: occurrences are counted with pre-aggregation, and the join back to the runs is one that AQE splits.
 
@@ -29,39 +31,51 @@ from pyspark.sql import types as T
 
 from derivatrace.llm.common import WORD_TABLE, column, cut, map_columns
 
-SENTENCES, WORDS, LONG, ANCHOR = 2, 25, 14, 8
-_END = re.compile(r"(?<=[.!?…。！？])\s+|\n+")
-_TOKEN = re.compile(r"\S+\s*")
+SENTENCES, WORDS, WINDOW = 2, 25, 13
+# One set first, so that the search skips all else.
+_END = re.compile(r"[.!?…。！？\n](?:(?<=\n)|(?=[ \t-\r]))[ \t-\r]*")
+_TOKEN = re.compile(r"[^ \t-\r]+[ \t-\r]*")
+#: As WORD_TABLE, but only white space gives spaces; other bytes between words give zeros.
+_TOKEN_TABLE = bytes(32 if 9 <= i <= 13 or i == 32 else 0 if c == 32 else c for i, c in enumerate(WORD_TABLE))
+_ZEROS = bytes.maketrans(b"\0", b" ")
 
 
-def sentences(text: str) -> list[tuple[int, int, bytes]]:
-    """(start, end, normal form) of each sentence that has a word; together they cover the text."""
-    out: list[tuple[int, int, bytes]] = []
-
-    def add(a: int, b: int) -> None:
-        words = text[a:b].encode().translate(WORD_TABLE).split()
-        if len(words) > LONG:
-            at, n = a, 0
-            for m in _TOKEN.finditer(text, a, b):
-                n += 1
-                form = b" ".join(m[0].encode().translate(WORD_TABLE).split())
-                if form and crc32(form) % ANCHOR == 0:
-                    put(at, m.end(), b" ".join(text[at : m.end()].encode().translate(WORD_TABLE).split()))
-                    at, n = m.end(), 0
-            if n:
-                put(at, b, b" ".join(text[at:b].encode().translate(WORD_TABLE).split()))
-        else:
-            put(a, b, b" ".join(words))
+def winnowed(keys: np.ndarray) -> set[int]:
+    """Places of the least key of each window of ``WINDOW`` keys, of equal ones the last."""
+    if len(keys) < WINDOW:
+        return set()
+    mask = (1 << 31) - 1
+    least, size = keys.astype(np.uint64) << np.uint64(31) | np.arange(mask, mask - len(keys), -1, dtype=np.uint64), 1
+    while size < WINDOW:
+        step = min(size, WINDOW - size)
+        least, size = np.minimum(least[:-step], least[step:]), size + step
+    return set((mask - (least & np.uint64(mask)).astype(np.int64)).tolist())
 
-    def put(a: int, b: int, form: bytes) -> None:
-        if form:
-            out.append((out[-1][1] if out else 0, b, form))
 
-    at = 0
-    for m in _END.finditer(text):
-        add(at, m.end())
-        at = m.end()
-    add(at, len(text))
+def sentences(text: str) -> list[tuple[int, int, bytes]]:
+    """(start, end, normal form) of each piece that has a word; together they cover the text."""
+    lead = len(text) - len(text.lstrip(" \t\n\v\f\r"))
+    ends = list(accumulate(map(len, _TOKEN.findall(text)), initial=lead))[1:]
+    whole = text.encode().translate(_TOKEN_TABLE)
+    bare = [t.strip(b"\0") for t in whole.split()]
+    stops = {m.end() for m in _END.finditer(text)}
+    if not any(bare):
+        return []
+    if not all(bare):
+        # What has no word goes with the word before it, and so does its sentence end.
+        full = [i for i, t in enumerate(bare) if t]
+        last = [*(i - 1 for i in full[1:]), len(ends) - 1]
+        stops |= {ends[b] for a, b in zip(full, last, strict=True) if any(ends[i] in stops for i in range(a, b))}
+        bare, ends = [bare[i] for i in full], [ends[b] for b in last]
+    stop = [i for i, e in enumerate(ends) if e in stops]
+    keys = np.fromiter(map(crc32, bare), np.int64, len(bare)) + 1
+    keys[stop] = 0
+    if b"\0" in b" ".join(bare):
+        bare = [b" ".join(t.translate(_ZEROS).split()) for t in bare]
+    out, at, start = [], 0, 0
+    for i in sorted(winnowed(keys) | set(stop) | {len(bare) - 1}):
+        out.append((start, ends[i], b" ".join(bare[at : i + 1])))
+        at, start = i + 1, ends[i]
     return out
 
 

@@ -441,6 +441,46 @@ def test_shared_passage_goes_from_all_but_the_first(spark):
     assert passage in got[1]["text"] and "second sentence" not in got[3]["text"] and "of its own number 105" in got[5]["text"]
 
 
+def removed_by_all_runs(rows):
+    """Pieces of any run, however long, of at least two pieces and 25 words that has occurred before; runs by their words."""
+    found = {r: [f.decode() for _, _, f in spans.sentences(r[1])] for r in rows}
+    every = [(" / ".join(f[a:e]), r, a, e) for r, f in sorted(found.items()) for a in range(len(f)) for e in range(a + 2, len(f) + 1) if sum(len(x.split()) for x in f[a:e]) >= 25]
+    first = {}
+    for form, r, a, _ in every:
+        first[form] = min(first.get(form, (r, a)), (r, a))
+    gone = {(r, i) for form, r, a, e in every if first[form] != (r, a) for i in range(a, e)}
+    return ordered((r[0], sum((r, i) in gone for i in range(len(f)))) for r, f in found.items())
+
+
+def test_runs_reach_the_end_of_copies_and_passages(spark):
+    rng = np.random.default_rng(5)
+    said = lambda n: " ".join(f"w{x}" for x in rng.integers(0, 10**6, n)) + ". "
+    copied = [said(14) + said(14) + said(3), said(40) + said(2) + said(1), said(13) + said(12), said(25), said(200) + said(7)]
+    inside = said(20) + said(9) + said(4)
+    rows = [(i, t) for i, t in enumerate(copied * 2)] + [(20, said(6) + inside + said(8) + inside), (21, said(9) + inside + said(30)), (22, said(5) + said(4)), (23, "one two. " * 20), (24, " . -- "), (25, "-- one . two\n - three")]
+    out = spans.dedup_spans(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert ordered((r["doc_id"], r["n_removed"]) for r in out) == removed_by_all_runs(rows)
+    left = {r["doc_id"]: r["text"] for r in out}
+    assert all(left[i] == rows[i][1] and left[5 + i] == "" for i in range(5))
+    assert left[20] == rows[10][1].removesuffix(inside) and inside.strip() not in left[21]
+
+
+@pytest.mark.parametrize("stop", [0.0, 0.05, 0.3])
+def test_every_shared_stretch_of_over_50_words_holds_a_common_run(stop):
+    rng = np.random.default_rng(int(100 * stop))
+    words = lambda n: [f"w{x}" + ("." if y < stop else "") for x, y in zip(rng.integers(0, 400, n), rng.random(n), strict=True)]
+    for _ in range(400):
+        passage = words(int(rng.integers(51, 70)))
+        hashes = []
+        for _ in range(2):
+            before, after = words(int(rng.integers(0, 40))), words(int(rng.integers(0, 40)))
+            found = spans.sentences(" ".join(before + passage + after))
+            starts = np.cumsum([0, *[len(f.split()) for _, _, f in found]])
+            hashes.append({h: (starts[a] - len(before), starts[a + n] - len(before)) for a, n, h in spans.runs(found)})
+        both_have = [hashes[1][h] for h in hashes[0].keys() & hashes[1].keys()]
+        assert both_have and min(a for a, _ in both_have) <= 13 and max(b for _, b in both_have) >= len(passage) - 14
+
+
 def test_runs_end_at_the_last_piece():
     found = [(0, 1, b" ".join([b"a"] * 14)), (1, 2, b" ".join([b"b"] * 14)), (2, 3, b"c d e")]
     assert {(at, n) for at, n, _ in spans.runs(found)} == {(0, 2), (0, 3)}
