@@ -438,6 +438,15 @@ def bag_mult_idem(spark, path):
     return shown(out).select(F.lit("ord/3").alias("o"), "p", "mono", "coeff")
 
 
+@register("bag_mult_idem_all", oracles.provenance([DEEP["D12"].cq], fixture.ACYCLIC, 0).rsplit("poly AS", 1)[0] + """poly AS (SELECT f0.s AS o, f2.o AS p, list_sort(list_distinct(flatten([f0.m, f1.m, f2.m, f3.m]))) AS m FROM sat f0, sat f1, sat f2, sat f3
+WHERE f0.pred = 'Order' AND f1.pred = 'hasLine' AND f1.s = f0.s AND f2.pred = 'lineProduct' AND f2.s = f1.o AND f3.pred = 'MarketedProduct' AND f3.s = f2.o)
+SELECT o, p, array_to_string(m, '*') AS mono, count(*) AS coeff FROM poly GROUP BY ALL""")
+def bag_mult_idem_all(spark, path):
+    """The counted mode over all orders."""
+    out = compute_provenance(fixture.instance(spark, path, "acyclic"), DEEP["D12"].cq, level="mult_idempotent")
+    return shown(out).select("o", "p", "mono", "coeff")
+
+
 @register("db_only", oracles.provenance([DEEP["D10"].cq, parse_cq("q(e) :- ClickEvent(e), performedBy(e, c), BigSpender(c)")], Ontology()))
 def db_only(spark, path):
     instance = deep(spark, path)
