@@ -9,6 +9,7 @@ existential witness remain as branches. Its size is a sum over atoms where unfol
 
 from __future__ import annotations
 
+from collections import Counter
 from collections.abc import Callable, Iterable
 from dataclasses import dataclass
 from itertools import product as cartesian
@@ -19,7 +20,8 @@ from pyspark.sql import functions as F
 from derivatrace.functions.monomials import mul, mul_idem, power, within
 from derivatrace.plans.cq import CQ, canonical, is_standard
 from derivatrace.plans.instance import Bind, Instance, union
-from derivatrace.plans.rewrite import atom_closure, by_shape, foldings, pruned, rewrite_compute, rewrite_literal
+from derivatrace.plans.ontology import Axiom
+from derivatrace.plans.rewrite import atom_closure, by_shape, foldings, pruned, rewrite_compute, rewrite_literal, tagged_foldings
 
 
 def _named(df: DataFrame, args: tuple, i: int, labels: bool) -> DataFrame:
@@ -108,14 +110,16 @@ def _empty(instance: Instance, head: tuple[str, ...]) -> DataFrame:
     return instance.spark.createDataFrame([], ", ".join([*[f"{h} string" for h in head], f"mono array<{kind}>"]))
 
 
-def atom_facts(instance: Instance, pred: str, args: tuple, *, level: str = "idempotent", labels: bool = True, only: Column | None = None, bind: Bind | None = None) -> DataFrame:
+def atom_facts(instance: Instance, pred: str, args: tuple, *, level: str = "idempotent", labels: bool = True, only: Column | None = None, bind: Bind | None = None, among: Iterable[tuple] | None = None) -> DataFrame:
     """closure form of one atom: all facts that yield it, each rule read once for all its ways.
 
-    Rules over one table with equal heads share a scan.
+    Rules over one table with equal heads share a scan. among: facts of these yielding atoms only.
     """
     frames: list[tuple[tuple, DataFrame]] = []
     shared: dict[tuple, list] = {}
     for (p, q), ways in sorted(atom_closure(pred, args, list(instance.ontology.positive)).items()):
+        if among is not None and (p, q) not in among:
+            continue
         alone = []
         for r in instance.rules_for(p, q, bind):
             if r.body.single:
@@ -270,25 +274,60 @@ def compute_provenance(instance: Instance, cq: CQ | list[CQ], *, level: str = "i
     return out.dropDuplicates()
 
 
+def constrained_bodies(cq: CQ, axioms: Iterable[Axiom]) -> set[tuple]:
+    """Folded bodies of an annotated query, each row (pred, args, tag).
+
+    The tag lists the query's atoms that carry a condition and whose fact this row's fact yields, each with the labels
+    gathered on the way; atoms merged at a witness keep labels of their own, as they had ways of their own to it.
+    """
+    axioms = [a for a in axioms if not a.neg]
+    fixed = {i: set(a.mono) for i, a in enumerate(cq.atoms) if isinstance(a.mono, tuple)}
+    named = Counter(a.mono for a in cq.atoms if isinstance(a.mono, str))
+    tags = [((i, ()),) if i in fixed or named.get(a.mono, 0) > 1 else () for i, a in enumerate(cq.atoms)]
+    known: dict[tuple, list] = {}
+
+    def ways(pred, args, tag):
+        if (pred, args, tag) not in known:
+            usable = [a for a in axioms if all(set(a.label) <= fixed[i] for i, _ in tag or () if i in fixed)]
+            reached = atom_closure(pred, args, usable)
+            known[pred, args, tag] = [(at, tuple((i, tuple(sorted({*x, *way}))) for i, x in tag)) for at, sets in reached.items() for way in sorted(sets)] if tag else [(at, tag) for at in reached]
+        return known[pred, args, tag]
+
+    return tagged_foldings(cq, tags, axioms, ways, lambda a, b: tuple(sorted([*a, *b])))
+
+
 def select_by_provenance(instance: Instance, cq: CQ) -> DataFrame:
     """Answers of an annotated query: atoms with a given monomial, or with equal ones where they share a label variable.
 
-    Each atom's closure gives all its monomials over known individuals; a filter or an equi-join on them decides.
+    Idempotent level. Atoms may be matched at anonymous witnesses: the query is folded as in the computing task, with the
+    labels of its conditions kept apart (``constrained_bodies``). A fixed monomial also filters the facts at the scan.
+    A query without answer variables gives one row ``holds`` where it holds.
     """
-    def frame(i: int, pred: str, args: tuple) -> DataFrame:
-        atom, only = cq.atoms[i], None
-        if isinstance(atom.mono, tuple):
-            only = instance.constant(atom.mono)
-        df = atom_facts(instance, pred, args, only=only)
-        return df.where(F.col("mono") == only) if only is not None else df
-
-    rows = [(a.pred, a.args) for a in cq.atoms]
-    out = join_atoms(rows, lambda i, p, q: frame(i, p, q).dropDuplicates(), [*cq.head])
-    by: dict[str, int] = {}
-    for i, a in enumerate(cq.atoms):
-        if isinstance(a.mono, str):
-            out = out.where(F.col(f"_m{by.setdefault(a.mono, i)}") == F.col(f"_m{i}")) if by.setdefault(a.mono, i) != i else out
-    return out.select(*cq.head).distinct()
+    fixed = {i: a.mono for i, a in enumerate(cq.atoms) if isinstance(a.mono, tuple)}
+    frames = []
+    for body in sorted(constrained_bodies(cq, instance.ontology.positive)):
+
+        def frame(k: int, pred: str, args: tuple, body=body) -> DataFrame:
+            tag = body[k][2]
+            if not tag:
+                return atom_facts(instance, pred, args, labels=False).distinct().withColumn("mono", F.lit(None))
+            asked = [(instance.constant(fixed[i]), x) for i, x in tag if i in fixed]
+            df = atom_facts(instance, pred, args, only=asked[0][0] if asked else None)
+            for whole, x in asked:
+                df = df.where(mul_idem(F.col("mono"), instance.constant(x)) == whole)
+            return df.dropDuplicates()
+
+        out = join_atoms([(p, q) for p, q, _ in body], frame, cq.head)
+        groups: dict[str, Column] = {}
+        for k, (_, _, tag) in enumerate(body):
+            for i, x in tag:
+                if isinstance(name := cq.atoms[i].mono, str):
+                    mono = mul_idem(F.col(f"_m{k}"), instance.constant(x))
+                    out = out.where(groups[name] == mono) if name in groups else out
+                    groups.setdefault(name, mono)
+        out = out.select(*cq.head, *[F.lit(True).alias("holds")] * (not cq.head))
+        frames.append(out.where(cq.where) if cq.where else out)
+    return union(frames).distinct()
 
 
 def provenance_on(cq: CQ, facts: dict[str, DataFrame], level: str = "idempotent") -> DataFrame:
