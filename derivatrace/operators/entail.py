@@ -9,6 +9,7 @@ from __future__ import annotations
 
 from collections import Counter
 from collections.abc import Iterable, Iterator
+from itertools import combinations
 from itertools import product as cartesian
 
 from pyspark.sql import DataFrame
@@ -19,34 +20,96 @@ from derivatrace.operators.bag import MultiplicityUndecidedHere, bag_provenance
 from derivatrace.operators.provenance import compute_provenance, join_atoms
 from derivatrace.plans.cq import CQ, Atom
 from derivatrace.plans.instance import Instance, union
+from derivatrace.plans.mapping import Rule
+from derivatrace.plans.ontology import Some
 from derivatrace.plans.rewrite import rewrite_decide
 
 Monomial = tuple[str, ...]
 
 
-def split_assignments(cq: CQ, mono: Iterable[str], level: str = "general") -> Iterator[CQ]:
+def split_assignments(cq: CQ, mono: Iterable[str], level: str = "general", parts: list[list[Monomial]] | None = None) -> Iterator[CQ]:
     """The annotated copies of the query for one monomial.
 
     general: every occurrence of a label goes to one atom. idempotent: every label goes to one atom or more. An atom
-    needs a label at least, as every fact has one.
+    needs a label at least, as every fact has one. parts: the sub-monomials that each atom may get (``possible_parts``);
+    without it all of them are tried, as the set that the theorem speaks of has them.
     """
-    mono, k = tuple(sorted(mono)), len(cq.atoms)
-    seen = set()
-    if level == "general":
-        ways = cartesian(*[[(i,) for i in range(k)]] * len(mono))
+    mono = tuple(sorted(mono)) if level == "general" else tuple(sorted(set(mono)))
+    if parts is None:
+        parts = [sorted({c for n in range(1, len(mono) + 1) for c in combinations(mono, n)})] * len(cq.atoms)
+    whole = Counter(mono)
+    # What the atoms from a place on can still bring in.
+    later = [Counter() for _ in range(len(parts) + 1)]
+    for j in range(len(parts) - 1, -1, -1):
+        most = Counter()
+        for p in parts[j]:
+            most |= Counter(p)
+        later[j] = later[j + 1] + most
+
+    def choose(j: int, left: Counter, chosen: tuple) -> Iterator[tuple]:
+        if left - later[j]:
+            return
+        if j == len(parts):
+            yield chosen
+            return
+        for p in parts[j]:
+            used = Counter(p)
+            if level != "general":
+                yield from choose(j + 1, left - used, (*chosen, p))
+            elif not used - left:
+                yield from choose(j + 1, left - used, (*chosen, p))
+
+    for key in choose(0, whole, ()):
+        yield CQ((), tuple(Atom(a.pred, tuple(("v", t[1]) if t[0] == "h" else t for t in a.args), p) for a, p in zip(cq.atoms, key, strict=True)))
+
+
+def possible_parts(instance: Instance, pred: str, mono: Iterable[str], level: str = "general") -> list[Monomial]:
+    """The sub-monomials that an atom of the predicate may take part with: a fact's monomial and labels of inclusions.
+
+    Facts come from predicates that inclusions with labels of the monomial lead to; a rule's fact has the rule's labels
+    and a row label for each of its table atoms, told by the tables' label prefixes.
+    """
+    whole = Counter(mono)
+    if level != "general":
+        whole = Counter(set(whole))
+    preds, ways = {pred}, set()
+    while more := [a for a in instance.ontology.positive if set(a.label) <= set(whole) and _name(a.rhs) in preds and (_name(a.lhs) not in preds or not set(a.label) <= ways)]:
+        preds |= {_name(a.lhs) for a in more}
+        ways |= {x for a in more for x in a.label}
+    facts: set[Monomial] = set()
+    for r in instance.rules:
+        if r.pred in preds and set(r.label) <= set(whole):
+            facts |= _fact_monomials(instance, r, whole, level)
+    for name in sorted(preds & set(instance.given)):
+        lean = instance.given[name].select("mono")
+        facts |= {tuple(sorted(x[0])) for x in lean.where(within(F.col("mono"), instance.constant(set(whole)))).distinct().collect()}  # at most all subsets of the labels asked for
+    steps = sorted(x for x in whole.elements() if x in ways)
+    sums = {c for n in range(len(steps) + 1) for c in combinations(steps, n)}
+    join = (lambda f, s: tuple(sorted([*f, *s]))) if level == "general" else (lambda f, s: tuple(sorted({*f, *s})))
+    return sorted(p for p in {join(f, s) for f in facts for s in sums} if not Counter(p) - whole)
+
+
+def _name(term) -> str:
+    return term.role.name if isinstance(term, Some) else term.name
+
+
+def _fact_monomials(instance: Instance, rule: Rule, whole: Counter, level: str) -> set[Monomial]:
+    """Monomials within the whole that a fact of the rule could have."""
+    named = sorted(whole)
+
+    def of_table(table: str) -> list[str]:
+        s = instance.sources[table]
+        start_ = {"row": f"@{s.prefix}/", "relation": f"@{table}"}.get(s.policy, f"@{table}:" if s.policy.startswith("column:") else "")
+        return [x for x in named if x.startswith(start_)]
+
+    if rule.body.arrays:
+        rows = [c for n in range(1, len(named) + 1) for c in combinations(named, n)]
+    elif rule.body.atoms:
+        rows = list(cartesian(*[of_table(a.table) for a in rule.body.atoms]))
     else:
-        mono = tuple(sorted(set(mono)))
-        subsets = [tuple(i for i in range(k) if m >> i & 1) for m in range(1, 2**k)]
-        ways = cartesian(*[subsets] * len(mono))
-    for way in ways:
-        parts: list[list[str]] = [[] for _ in range(k)]
-        for label, where in zip(mono, way, strict=True):
-            for i in where:
-                parts[i].append(label)
-        key = tuple(map(tuple, parts))
-        if all(key) and key not in seen:
-            seen.add(key)
-            yield CQ((), tuple(Atom(a.pred, tuple(("v", t[1]) if t[0] == "h" else t for t in a.args), p) for a, p in zip(cq.atoms, key, strict=True)))
+        rows = list(cartesian(*[[x for x in named if x not in rule.label]] * len(rule.body.labels)))
+    join = (lambda r: tuple(sorted([*rule.label, *r]))) if level == "general" else (lambda r: tuple(sorted({*rule.label, *r})))
+    return {m for m in map(join, rows) if not Counter(m) - whole}
 
 
 def translation(cq: CQ, poly: list[Monomial], level: str = "general") -> Iterator[CQ]:
@@ -74,13 +137,8 @@ def match(instance: Instance, bodies: Iterable[tuple], level: str = "general") -
 
 
 def _possible(instance: Instance, pred: str, args: tuple, mono: Monomial) -> bool:
-    """Whether some fact could have this monomial: it must hold a rule's labels, and no more beside them than rows the rule reads."""
-    if pred in instance.given:
-        return True
-    for r in instance.rules_for(pred, args):
-        if set(r.label) <= set(mono) and (r.body.arrays or len(set(mono)) <= len(set(r.label)) + len(r.body.labels)):
-            return True
-    return False
+    """Whether some fact could have this monomial: a given one, or one of a rule that can make these constants."""
+    return pred in instance.given or any(tuple(sorted(mono)) in _fact_monomials(instance, r, Counter(mono), "general") or tuple(sorted(set(mono))) in _fact_monomials(instance, r, Counter(set(mono)), "idempotent") for r in instance.rules_for(pred, args) if set(r.label) <= set(mono))
 
 
 def _literal(instance: Instance, mono: Monomial, level: str):
@@ -106,7 +164,8 @@ def entails(instance: Instance, cq: CQ, poly: list[Iterable[str]], *, level: str
     fact_level = "general" if level == "general" else "idempotent"
     for mono in dict.fromkeys(wanted):
         bodies: dict[tuple, None] = {}
-        for copy in split_assignments(cq, mono, level):
+        parts = [possible_parts(instance, a.pred, mono, level) for a in cq.atoms]
+        for copy in split_assignments(cq, mono, level, parts):
             bodies |= dict.fromkeys(rewrite_decide(copy, instance.ontology.positive, level=level))
         rest = list(bodies)
         for i in range(0, len(rest), chunk):  # one job for a chunk of members, ended by its first match

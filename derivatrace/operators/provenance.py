@@ -17,11 +17,13 @@ from itertools import product as cartesian
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from derivatrace.operators.joins import joined
 from derivatrace.functions.monomials import mul, mul_idem, power, within
-from derivatrace.plans.cq import CQ, canonical, is_standard
+from derivatrace.plans.cq import BLANK, CQ, canonical, is_standard
 from derivatrace.plans.instance import Bind, Instance, union
+from derivatrace.plans.mapping import Rule, irredundant
 from derivatrace.plans.ontology import Axiom
-from derivatrace.plans.rewrite import atom_closure, by_shape, foldings, pruned, rewrite_compute, rewrite_literal, tagged_foldings
+from derivatrace.plans.rewrite import atom_closure, by_shape, contained, foldings, pruned, rewrite_compute, rewrite_literal, tagged_foldings
 
 
 def _named(df: DataFrame, args: tuple, i: int, labels: bool) -> DataFrame:
@@ -117,11 +119,14 @@ def atom_facts(instance: Instance, pred: str, args: tuple, *, level: str = "idem
     """
     frames: list[tuple[tuple, DataFrame]] = []
     shared: dict[tuple, list] = {}
-    for (p, q), ways in sorted(atom_closure(pred, args, list(instance.ontology.positive)).items()):
-        if among is not None and (p, q) not in among:
-            continue
+    reached = {at: ways for at, ways in sorted(atom_closure(pred, args, list(instance.ontology.positive)).items()) if among is None or at in among}
+    rules = {(p, q): instance.rules_for(p, q, bind) for p, q in reached}
+    if not labels:
+        kept = {q: set(map(id, irredundant([r for (_, other), found in rules.items() if other == q for r in found]))) for _, q in reached}
+        rules = {at: [r for r in found if id(r) in kept[at[1]]] for at, found in rules.items()}
+    for (p, q), ways in reached.items():
         alone = []
-        for r in instance.rules_for(p, q, bind):
+        for r in rules[p, q]:
             if r.body.single:
                 shared.setdefault((q, r.body.single[0], r.head), []).append((r, sorted(ways)))
             else:
@@ -151,10 +156,13 @@ def atom_facts(instance: Instance, pred: str, args: tuple, *, level: str = "idem
 def _closure_form(instance: Instance, cq: CQ, head, only, bind) -> list[DataFrame]:
     out = []
     for body, label_sets in sorted(foldings(cq, instance.ontology.positive).items()):
+        if only is None:
+            out.append(joined(instance, list(body), head, order=_join_order, bind=bind, extra=sorted(label_sets)))
+            continue
         df = join_atoms(body, lambda i, p, q: atom_facts(instance, p, q, only=only, bind=bind), head)
         df, more = _multiply(df, sorted(label_sets), instance, False)
         out.append(_finish(df, head, [*[F.col(f"_m{i}") for i in range(len(body))], *more], False, only))
-    return out
+    return [df for df in out if df is not None]
 
 
 def _shape_form(instance: Instance, cq: CQ, head, only, level, max_degree) -> list[DataFrame]:
@@ -185,7 +193,8 @@ def unfold(instance: Instance, cq: CQ, *, optimise: str = "none", prune_template
     """The union that a rewriting engine runs.
 
     optimise: ``none``; ``safe`` leaves out branches that another one repeats (same atoms, rules and labels in another
-    order), which no label can tell apart; ``certain`` also drops contained bodies and labels, as plain answers allow.
+    order), which no label can tell apart; ``certain`` also drops labels, contained bodies, and branches whose reading of
+    the tables another branch contains, as plain answers allow.
     prune_templates leaves out branches whose constants, or whose joins of individuals, no template can make.
     """
     found = rewrite_compute(cq, instance.ontology.positive)
@@ -200,6 +209,8 @@ def unfold(instance: Instance, cq: CQ, *, optimise: str = "none", prune_template
             if prune_templates and not _joinable(body, rules):
                 continue
             branches.append((body, labels, rules))
+    if optimise == "certain":
+        branches = _uncontained(branches)
     if optimise == "safe":
         seen: dict[tuple, tuple] = {}
         for body, labels, rules in branches:
@@ -209,6 +220,52 @@ def unfold(instance: Instance, cq: CQ, *, optimise: str = "none", prune_template
     return UnionPlan(cq, branches)
 
 
+def _over_tables(body, rules: tuple[Rule, ...]) -> tuple:
+    """A branch as (table, terms of its columns) rows; key columns of an individual are terms made from its term."""
+    used: dict[str, set[str]] = {}
+    for r in rules:
+        for a in r.body.atoms:
+            used.setdefault(a.table, set()).update(a.columns, a.constants)
+    rows = []
+    for k, ((_, args, _), r) in enumerate(zip(body, rules, strict=True)):
+        known: dict[str, tuple] = {}
+        for (kind, name), t in zip(args, r.head, strict=True):
+            keys = name.partition("/")[2].split("-") if kind == "c" else []
+            for i, c in enumerate(t.columns):
+                if kind in "hv":
+                    known[c] = (kind, f"{name}/{t.prefix}/{i}")
+                elif kind == "c":
+                    known[c] = ("c", keys[i] if len(keys) == len(t.columns) else name)
+        term = lambda v, k=k, known=known: known.get(v, ("v", f"_{k}.{v}"))
+        if not r.body.atoms:
+            rows.append((f"!{r.name}", tuple(term(c) for t in r.head for c in t.columns)))
+        for a in r.body.atoms:
+            rows.append((a.table, tuple((c, ("c", repr(a.constants[c])) if c in a.constants else term(a.columns[c]) if c in a.columns else BLANK) for c in sorted(used[a.table]))))
+        if r.body.where:
+            rows.append((f"?{r.body.where}", tuple(term(v) for v in sorted({v for a in r.body.atoms for v in a.columns.values()}))))
+    return tuple(rows)
+
+
+def _uncontained(branches: list) -> list:
+    """Without branches that another one contains, over the tables; of equivalent ones the first stays."""
+    columns: dict[str, list[str]] = {}
+    read = [_over_tables(b, rules) for b, _, rules in branches]
+    for rows in read:
+        for table, terms in rows:
+            if table[0] not in "!?":
+                columns[table] = sorted({*columns.get(table, []), *(c for c, _ in terms)})
+    flat = []
+    for rows in read:
+        uses = Counter(t for table, terms in rows for t in (terms if table[0] in "!?" else [x for _, x in terms]))
+        term = lambda t, uses=uses: BLANK if t[0] == "v" and uses[t] == 1 else t
+        flat.append(tuple((table, terms if table[0] in "!?" else tuple(term(dict(terms).get(c, BLANK)) for c in columns[table])) for table, terms in rows))
+    kept: list[int] = []
+    for i in sorted(range(len(flat)), key=lambda i: (len(flat[i]), i)):
+        if not any(contained(flat[i], flat[k]) for k in kept):
+            kept = [k for k in kept if not contained(flat[k], flat[i])] + [i]
+    return [branches[i] for i in sorted(kept)]
+
+
 def _joinable(body, rules) -> bool:
     """No variable is made by two different kinds of template."""
     kinds: dict = {}
@@ -347,9 +404,9 @@ def certain_answers(instance: Instance, cq: CQ | list[CQ], *, physical: str = "c
     else:
         bodies = [b for b in foldings(cq, instance.ontology.positive)]
         bodies = pruned(bodies) if prune else bodies
-        frames = [join_atoms(b, lambda i, p, q: atom_facts(instance, p, q, labels=False), cq.head, labels=False) for b in bodies]
+        frames = [df for b in bodies if (df := joined(instance, list(b), cq.head, order=_join_order, labels=False)) is not None]
     if not frames:
-        return _empty(instance, cq.head).drop("mono")
+        return _empty(instance, cq.head).drop("mono") if cq.head else instance.spark.createDataFrame([], "holds boolean")
     out = union([f.select(*cq.head) if cq.head else f.limit(1).select(F.lit(True).alias("holds")) for f in frames])
     if cq.where:
         out = out.where(cq.where)

@@ -2,15 +2,17 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterable
+import operator
+from collections.abc import Iterable, Mapping
 from dataclasses import dataclass, field, replace
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from derivatrace.functions.labels import constant, encoded, row_label
 from derivatrace.functions.monomials import mul, mul_idem
-from derivatrace.plans.mapping import Rule
+from derivatrace.plans.mapping import Condition, Rule
 from derivatrace.plans.ontology import Ontology
 
 
@@ -29,12 +31,14 @@ class Source:
     prefix: str
     keys: tuple[str, ...]
     policy: str = "row"
+    #: Whether no two rows have equal keys: atoms over one row then share a scan.
+    unique: bool = False
 
 
 @dataclass(frozen=True)
 class Instance:
     spark: SparkSession
-    tables: dict[str, DataFrame]
+    tables: Mapping[str, DataFrame]
     sources: dict[str, Source]
     rules: tuple[Rule, ...]
     ontology: Ontology = Ontology()
@@ -96,14 +100,14 @@ class Instance:
                 df = df.where(F.col(c).isNotNull())
         conditions = [r.body.single[1] for r, _ in group]
         if all(conditions):
-            df = df.where(" OR ".join(f"({c})" for c in dict.fromkeys(conditions)))
+            df = df.where(reduce(operator.or_, [c.column() for c in dict.fromkeys(conditions)]))
         cols = [t.column().alias(f"a{i}") for i, t in enumerate(head)]
         if not labels:
             return df.select(*cols)
-        sets: dict[str | None, list[Column]] = {}
+        sets: dict[Condition | None, list[Column]] = {}
         for (r, ways), c in zip(group, conditions, strict=True):
             sets.setdefault(c, []).extend(self.constant({*r.label, *w}) for w in ways)
-        arrays = [F.array(*s) if c is None else F.when(F.expr(c), F.array(*s)).otherwise(F.array().cast(f"array<array<{'bigint' if self.hashed else 'string'}>>")) for c, s in sets.items()]
+        arrays = [F.array(*s) if c is None else F.when(c.column(), F.array(*s)).otherwise(F.array().cast(f"array<array<{'bigint' if self.hashed else 'string'}>>")) for c, s in sets.items()]
         every = arrays[0] if len(arrays) == 1 else F.concat(*arrays)
         if len(sets) == 1 and len(next(iter(sets.values()))) == 1:
             return df.select(*cols, mul_idem(F.array("_label"), next(iter(sets.values()))[0]).alias("mono"))

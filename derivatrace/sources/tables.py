@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import weakref
+from collections.abc import Mapping
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -24,18 +27,49 @@ EXPECTED = {
 }
 
 
-def load(spark: SparkSession, path: str, names: list[str] | None = None) -> dict[str, DataFrame]:
-    """The parquet tables of a folder, their schemas checked; lazily, so only columns used are read."""
-    out = {}
-    for name in names or EXPECTED:
-        df = spark.read.parquet(f"{path}/{name}.parquet")
-        kinds = dict(df.dtypes)
-        if wrong := {c: kinds.get(c) for c, k in EXPECTED.get(name, {}).items() if kinds.get(c) != k}:
-            raise ValueError(f"{name}: unexpected columns {wrong}")
-        out[name] = df
+#: Tables opened by a session, by folder and name.
+_OPENED: weakref.WeakKeyDictionary[SparkSession, dict[tuple[str, str], DataFrame]] = weakref.WeakKeyDictionary()
+
+
+class Tables(Mapping):
+    """The parquet tables of a folder by name. Each is opened and its schema checked when it is first asked for, once a
+    session; ``forget`` makes a session look at the files anew."""
+
+    def __init__(self, spark: SparkSession, path: str, names: list[str] | None = None):
+        self.spark, self.path, self.names = spark, path.rstrip("/"), list(names or EXPECTED)
+
+    def __getitem__(self, name: str) -> DataFrame:
+        if name not in self.names:
+            raise KeyError(name)
+        opened = _OPENED.setdefault(self.spark, {})
+        if (self.path, name) not in opened:
+            df = self.spark.read.parquet(f"{self.path}/{name}.parquet")
+            kinds = dict(df.dtypes)
+            if wrong := {c: kinds.get(c) for c, k in EXPECTED.get(name, {}).items() if kinds.get(c) != k}:
+                raise ValueError(f"{name}: unexpected columns {wrong}")
+            opened[self.path, name] = df
+        return opened[self.path, name]
+
+    def __iter__(self):
+        return iter(self.names)
+
+    def __len__(self) -> int:
+        return len(self.names)
+
+
+def load(spark: SparkSession, path: str, names: list[str] | None = None) -> Tables:
+    """The parquet tables of a folder, lazily read, so only columns used are: all of them as they are used, or those named at once."""
+    out = Tables(spark, path, names)
+    for name in names or ():
+        out[name]
     return out
 
 
+def forget(spark: SparkSession) -> None:
+    """Forget the opened tables of a session, as after their files have changed."""
+    _OPENED.pop(spark, None)
+
+
 def read(spark: SparkSession, fmt: str, path: str | None = None, *, schema: str | None = None, **options) -> DataFrame:
     """Any source that Spark reads: csv, json, orc, jdbc, or a table of the catalog."""
     if fmt == "table":

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -11,8 +13,10 @@ from derivatrace.plans.ontology import Ontology
 from derivatrace.sources.tables import load
 
 LINE = ("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey")
+#: Tables whose label keys tell rows apart (lineitem's repeat at times; documents and labels aren't promised to).
+UNIQUE = ("region", "nation", "customer", "supplier", "part", "orders", "events", "embeddings", "pages", "benchmark", "conversations")
 SOURCES = {
-    s.table: s
+    s.table: replace(s, unique=s.table in UNIQUE)
     for s in (
         Source("region", "reg", ("r_regionkey",)), Source("nation", "nat", ("n_nationkey",)), Source("customer", "cust", ("c_custkey",)), Source("supplier", "supp", ("s_suppkey",)),
         Source("part", "part", ("p_partkey",)), Source("orders", "ord", ("o_orderkey",)), Source("lineitem", "li", LINE), Source("events", "ev", ("event_id",)), Source("documents", "doc", ("doc_id",)),
