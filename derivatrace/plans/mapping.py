@@ -93,7 +93,7 @@ def _typed(column: str, value: str) -> Column:
 
 @dataclass(frozen=True)
 class TableAtom:
-    """A table in a conjunctive body: column -> variable, and constants that columns equal."""
+    """A table in a conjunctive body: column, or SQL over columns -> variable, and constants that columns equal."""
 
     table: str
     columns: dict[str, str]
@@ -161,8 +161,8 @@ def conjunctive(key: str, *atoms: TableAtom, where: str | None = None) -> Body:
             first = {v: c for c, v in reversed(a.columns.items())}
             for c, v in a.columns.items():
                 if first[v] != c:  # a repeated variable within the atom
-                    df = df.where(F.col(c) == F.col(first[v]))
-            df = df.select(*[F.col(c).alias(v) for v, c in first.items()], F.col("_label").alias(f"_l{i}"))
+                    df = df.where(f"{c} = {first[v]}")
+            df = df.selectExpr(*[f"{c} as {v}" for v, c in first.items()], f"_label as _l{i}")
             shared = [v for v in first if out is not None and v in out.columns]
             out = df if out is None else out.join(df, shared)
         return out.where(where) if where else out
@@ -211,7 +211,7 @@ def irredundant(rules: list[Rule]) -> list[Rule]:
 
 _RULE = re.compile(r"\s*(\w+)\s*\(((?:[^()']|'[^']*')*)\)\s*")
 _TERM = re.compile(r"\s*(\w+)((?:\{\w+\})+)\s*(?:,|$)")
-_COLUMN = re.compile(r"\s*(\w+)\s*(?:=\s*('(?:[^']|'')*'|-?\d+(?:\.\d+)?|\w+)\s*)?(?:,|$)")
+_COLUMN = re.compile(r"\s*(\w+(?:\{\w+\})?)\s*(?:=\s*('(?:[^']|'')*'|-?\d+(?:\.\d+)?|\w+)\s*)?(?:,|$)")
 
 
 def _taken(pattern: re.Pattern, text: str) -> list[re.Match]:
@@ -227,8 +227,8 @@ def _taken(pattern: re.Pattern, text: str) -> list[re.Match]:
 def parse_rule(text: str) -> Rule:
     """``placedBy(ord{ok}, cust{ck}) <- orders(o_orderkey=ok, o_custkey=ck, o_orderstatus='O') where ck > 3 @m14``.
 
-    Heads name a prefix and its key variables; a column without ``=`` is a variable of its own name; quoted texts and
-    numbers are constants (decimal ones exact).
+    Heads name a prefix and its key variables; a column without ``=`` is a variable of its own name, ``md5{text}=t`` a
+    function of a column; quoted texts and numbers are constants (decimal ones exact).
     """
     body, _, label = text.rpartition("@")
     head, found, rest = body.partition("<-")
@@ -243,10 +243,11 @@ def parse_rule(text: str) -> Rule:
         at = m.end() + (rest[m.end() : m.end() + 1] == ",")
         columns, fixed = {}, {}
         for c in _taken(_COLUMN, m[2]):
+            name = c[1].replace("{", "(").replace("}", ")")
             if c[2] is None or re.fullmatch(r"[A-Za-z_]\w*", c[2]):
-                columns[c[1]] = c[2] or c[1]
+                columns[name] = c[2] or name
             else:
-                fixed[c[1]] = c[2][1:-1].replace("''", "'") if c[2][0] == "'" else int(c[2]) if "." not in c[2] else Decimal(c[2])
+                fixed[name] = c[2][1:-1].replace("''", "'") if c[2][0] == "'" else int(c[2]) if "." not in c[2] else Decimal(c[2])
         atoms.append(TableAtom(m[1], columns, fixed))
     if missing := {v for t in templates for v in t.columns} - {v for a in atoms for v in a.columns.values()}:
         raise ValueError(f"head variables that the body lacks: {missing}")

@@ -27,16 +27,16 @@ class Deep:
 
 
 DEEP: dict[str, Deep] = {
-    "D01": Deep(parse_cq("q(x) :- interactsWith(x, p)"), True),
+    "D01": Deep(parse_cq("q(x) :- interactsWith(x, p), Supplier(x)"), True),
     "D02": Deep(parse_cq("q(o) :- PriorityOrder(o), placedBy(o, c), basedIn(c, n)"), False),
-    "D03": Deep(parse_cq("q(x) :- Party(x), basedIn(x, n), partOfRegion(n, r)"), False),
+    "D03": Deep(parse_cq("q(x) :- Vendor(x), basedIn(x, n), partOfRegion(n, r)"), False),
     "D04": Deep(parse_cq("q(c, s) :- tradesWith(c, s), basedIn(c, n), basedIn(s, n)"), False),
     "D05": Deep(parse_cq("q(r) :- Region(r), partOfRegion('nat/0', r)"), True),
-    "D06": Deep(parse_cq("q(x, y) :- interactsWith(x, p), interactsWith(y, p), Party(y)"), False),
+    "D06": Deep(parse_cq("q(x, y) :- interactsWith(x, p), bought(y, p), Party(y)"), False),
     "D07": Deep(parse_cq("q() :- Supplier('supp/0')"), True),
     "D09": Deep(parse_cq("q(p) :- Product(p), hasBrand(p, b), BudgetProduct(p)"), True),
     "D10": Deep(parse_cq("q(e) :- Interaction(e), performedBy(e, c), BigSpender(c)"), True),
     "D11": Deep(parse_cq("q(o) :- Order(o), placedBy(o, c), hasLine(o, l), ProblemLine(l)"), False),
     "D12": Deep(parse_cq("q(o, p) :- Order(o), hasLine(o, l), lineProduct(l, p), MarketedProduct(p)"), False),
-    "D31": Deep(parse_cq("q(d, e) :- relatedDoc(d, e), FlaggedDoc(e), Doc(d)"), True),
+    "D31": Deep(parse_cq("q(d, e) :- relatedText(d, e), FlaggedText(e), Text(d)"), True),
 }

@@ -124,14 +124,14 @@ def _where(cq: CQ) -> str:
     return f" WHERE {cq.where}" if cq.where else ""
 
 
-def certain(cqs: list[CQ], ontology: Ontology, depth: int = 3) -> str:
+def certain(cqs: list[CQ], ontology: Ontology, depth: int = 3, facts=None) -> str:
     preds = {a.pred for q in cqs for a in q.atoms}
     parts = []
     for q in cqs:
         rest, columns, _ = body(q, distinct=True)
         heads = ", ".join(f"{columns[h]} AS {h}" for h in q.head) or "true AS holds"
         parts.append(f"SELECT * FROM (SELECT DISTINCT {heads} {rest}) t{_where(q)}")
-    return f"WITH RECURSIVE {closed(preds, ontology, depth)}\n" + "\nUNION ".join(parts)
+    return f"WITH RECURSIVE {closed(preds, ontology, depth, facts=facts)}\n" + "\nUNION ".join(parts)
 
 
 def provenance(cqs: list[CQ], ontology: Ontology, depth: int = 3, facts=None, tail: str = "SELECT * FROM poly") -> str:
@@ -145,7 +145,7 @@ def provenance(cqs: list[CQ], ontology: Ontology, depth: int = 3, facts=None, ta
     return f"WITH RECURSIVE {closed(preds, ontology, depth, facts=facts)},\npoly AS (\n" + "\nUNION ".join(parts) + f")\n{tail}"
 
 
-def instantiated(cq: CQ, ontology: Ontology, depth: int = 3, n: int = 5, tail: str = "SELECT * FROM poly") -> str:
+def instantiated(cq: CQ, ontology: Ontology, depth: int = 3, n: int = 5, tail: str = "SELECT * FROM poly", facts=None) -> str:
     """The provenance of the n answers of least md5 of their text."""
     preds = {a.pred for a in cq.atoms}
     plain, columns, _ = body(cq, distinct=True)
@@ -154,4 +154,4 @@ def instantiated(cq: CQ, ontology: Ontology, depth: int = 3, n: int = 5, tail: s
     rest, columns, mono = body(cq)
     rest = rest.replace(" WHERE ", ", picked WHERE ", 1) + "".join(f" AND {columns[h]} = picked.{h}" for h in cq.head)
     select = "".join(f"picked.{h} AS {h}, " for h in cq.head)
-    return f"WITH RECURSIVE {closed(preds, ontology, depth)},\n{picked},\npoly AS (SELECT DISTINCT {select}array_to_string({mono}, '*') AS mono {rest})\n{tail}"
+    return f"WITH RECURSIVE {closed(preds, ontology, depth, facts=facts)},\n{picked},\npoly AS (SELECT DISTINCT {select}array_to_string({mono}, '*') AS mono {rest})\n{tail}"

@@ -18,7 +18,7 @@ from derivatrace.plans.ontology import Concept, Ontology, Some, normalise_invers
 from derivatrace.plans.rewrite import atom_closure
 from derivatrace.sources.tables import load
 from derivatrace.streaming import stream
-from derivatrace.workloads import examples, fixture, oracles
+from derivatrace.workloads import evaluation, examples, fixture, oracles
 from derivatrace.workloads.mixes import DEEP, FLAT
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -45,6 +45,10 @@ def deep(spark: SparkSession, path: str) -> Instance:
     return fixture.instance(spark, path, "deep")
 
 
+def survey(spark: SparkSession, path: str) -> Instance:
+    return fixture.instance(spark, path, "evaluation")
+
+
 def flat(spark: SparkSession, path: str) -> Instance:
     return fixture.instance(spark, path, "flat")
 
@@ -63,29 +67,34 @@ for _name, _cqs in FLAT.items():
 
 def inst(spark: SparkSession, path: str, cq: CQ) -> DataFrame:
     """The explanations of five answers, each instantiated."""
-    instance = deep(spark, path)
-    rows = explain.sampled(instance, cq)
+    instance = survey(spark, path)
+    rows = picked(spark, path, cq)
     if not rows:
         return compute_provenance(instance, cq).limit(0)
     return explain.explain(instance, cq, rows)
 
 
+def picked(spark: SparkSession, path: str, cq: CQ) -> list[dict[str, str]]:
+    """Five answers to ask about: which ones is no part of explaining them, and no measured time has it."""
+    return explain.sampled(survey(spark, path), cq)
+
+
 _COUNT = "SELECT {keys}count(*) AS n_derivations FROM poly{group}"
 for _name, _q in DEEP.items():
     _keys = "".join(f"{h}, " for h in _q.cq.head)
     _tail = _COUNT.format(keys=_keys, group=f" GROUP BY {_keys[:-2]}" if _keys else " HAVING count(*) > 0")
     if _q.full:
-        register(f"prov_{_name}", oracles.provenance([_q.cq], fixture.DEEP, 2))(lambda spark, path, cq=_q.cq: shown(compute_provenance(deep(spark, path), cq)))
-        register(f"count_{_name}", oracles.provenance([_q.cq], fixture.DEEP, 2, tail=_tail))(lambda spark, path, cq=_q.cq: explain.how_many(compute_provenance(deep(spark, path), cq)))
+        register(f"prov_{_name}", oracles.provenance([_q.cq], evaluation.EVALUATION, 2, facts=evaluation.FACTS))(lambda spark, path, cq=_q.cq: shown(compute_provenance(survey(spark, path), cq)))
+        register(f"count_{_name}", oracles.provenance([_q.cq], evaluation.EVALUATION, 2, facts=evaluation.FACTS, tail=_tail))(lambda spark, path, cq=_q.cq: explain.how_many(compute_provenance(survey(spark, path), cq)))
     else:
-        register(f"count_{_name}", oracles.instantiated(_q.cq, fixture.DEEP, 2, tail=_tail))(lambda spark, path, cq=_q.cq: explain.how_many(inst(spark, path, cq)))
+        register(f"count_{_name}", oracles.instantiated(_q.cq, evaluation.EVALUATION, 2, facts=evaluation.FACTS, tail=_tail))(lambda spark, path, cq=_q.cq: explain.how_many(inst(spark, path, cq)))
     if _q.cq.head:
-        register(f"inst_{_name}", oracles.instantiated(_q.cq, fixture.DEEP, 2))(lambda spark, path, cq=_q.cq: shown(inst(spark, path, cq)))
+        register(f"inst_{_name}", oracles.instantiated(_q.cq, evaluation.EVALUATION, 2, facts=evaluation.FACTS))(lambda spark, path, cq=_q.cq: shown(inst(spark, path, cq)))
     if _name == "D06":  # pairs by the million: counted for each first answer
-        _pairs = oracles.certain([_q.cq], fixture.DEEP, 2).replace("SELECT * FROM (SELECT DISTINCT", "SELECT x, count(*) AS n_answers FROM (SELECT DISTINCT") + " GROUP BY x"
-        register("certain_D06", _pairs)(lambda spark, path, cq=_q.cq: certain_answers(deep(spark, path), cq).groupBy("x").agg(F.count(F.lit(1)).alias("n_answers")))
+        _pairs = oracles.certain([_q.cq], evaluation.EVALUATION, 2, facts=evaluation.FACTS).replace("SELECT * FROM (SELECT DISTINCT", "SELECT x, count(*) AS n_answers FROM (SELECT DISTINCT") + " GROUP BY x"
+        register("certain_D06", _pairs)(lambda spark, path, cq=_q.cq: certain_answers(survey(spark, path), cq).groupBy("x").agg(F.count(F.lit(1)).alias("n_answers")))
     else:
-        register(f"certain_{_name}", oracles.certain([_q.cq], fixture.DEEP, 2))(lambda spark, path, cq=_q.cq: certain_answers(deep(spark, path), cq))
+        register(f"certain_{_name}", oracles.certain([_q.cq], evaluation.EVALUATION, 2, facts=evaluation.FACTS))(lambda spark, path, cq=_q.cq: certain_answers(survey(spark, path), cq))
 
 # Derived facts, and rule bodies
 
@@ -285,7 +294,7 @@ def saturated_rules(spark, path):
 @register("union_count")
 def union_count(spark, path):
     """UNION operators by query: stock engine, provenance engine, and instantiated with and without template pruning."""
-    instance, rows = deep(spark, path), []
+    instance, rows = survey(spark, path), []
     for name, q in DEEP.items():
         row = {h: {"x": "cust/0", "y": "cust/1", "o": "ord/0", "c": "cust/0", "s": "supp/0", "r": "reg/0", "p": "part/0", "e": "ev/0", "d": "doc/0"}[h] for h in q.cq.head}
         if name == "D31":
@@ -297,21 +306,21 @@ def union_count(spark, path):
 
 @register("rewriting_stats")
 def rewriting_stats(spark, path):
-    instance = deep(spark, path)
+    instance = survey(spark, path)
     rows = [(n, *measures.rewriting_stats(instance, q.cq).values()) for n, q in DEEP.items()]
     return spark.createDataFrame(rows, "query string, rewritings int, bodies int, foldings int")
 
 
 # Measures over polynomials
 
-@register("measure_derivations", oracles.provenance([DEEP["D09"].cq], fixture.DEEP, 2, tail="SELECT count(*) AS n_answers, avg(n) AS mean_derivations, max(n) AS max_derivations FROM (SELECT p, count(*) AS n FROM poly GROUP BY p) t"))
+@register("measure_derivations", oracles.provenance([DEEP["D09"].cq], evaluation.EVALUATION, 2, facts=evaluation.FACTS, tail="SELECT count(*) AS n_answers, avg(n) AS mean_derivations, max(n) AS max_derivations FROM (SELECT p, count(*) AS n FROM poly GROUP BY p) t"))
 def measure_derivations(spark, path):
-    return measures.derivations(compute_provenance(deep(spark, path), DEEP["D09"].cq))
+    return measures.derivations(compute_provenance(survey(spark, path), DEEP["D09"].cq))
 
 
-@register("measure_encoded_size", oracles.provenance([DEEP["D09"].cq], fixture.DEEP, 2, tail="SELECT count(*) AS n_monomials, CAST(sum(len(string_split(mono, '*'))) AS BIGINT) AS n_literals, CAST(sum(length(mono)) + greatest(count(*) - 1, 0) AS BIGINT) AS n_chars FROM poly"))
+@register("measure_encoded_size", oracles.provenance([DEEP["D09"].cq], evaluation.EVALUATION, 2, facts=evaluation.FACTS, tail="SELECT count(*) AS n_monomials, CAST(sum(len(string_split(mono, '*'))) AS BIGINT) AS n_literals, CAST(sum(length(mono)) + greatest(count(*) - 1, 0) AS BIGINT) AS n_chars FROM poly"))
 def measure_encoded_size(spark, path):
-    return measures.encoded_size(compute_provenance(deep(spark, path), DEEP["D09"].cq))
+    return measures.encoded_size(compute_provenance(survey(spark, path), DEEP["D09"].cq))
 
 
 # Label policies, hashed labels
