@@ -1,7 +1,9 @@
 """Headline queries at $BENCH_SF_DIR on local[$BENCH_CPUS]; prints one JSON line.
 
-The flat mix and the deep mix by the provenance engine and by plain answers, with the paper's measures beside them:
-mixTime of either engine, their ratio, and UNION counts.
+``queries`` has one run of each query of the two mixes by either engine at that scale. ``flat`` is mixTime of either engine
+(mean of 3 runs) at this scale and at a hundredth of it; ``deep`` has, for each query, the seconds of the plain engine (t)
+and of the provenance engine on one answer (tinst) at a tenth of the scale (mean of 5 runs) and at it (t10, tinst10; mean
+of $BENCH_RUNS, 2 by default), and the unions. Answers are picked before any clock runs. A run over 40 minutes is a timeout (null).
 """
 
 from __future__ import annotations
@@ -27,20 +29,59 @@ def main() -> None:
         .getOrCreate()
     )
     spark.sparkContext.setLogLevel("ERROR")
-    from derivatrace.operators.measures import run
+    from derivatrace.operators import explain
+    from derivatrace.operators.measures import mix_time, overhead, run, timed, union_count
+    from derivatrace.operators.provenance import certain_answers, compute_provenance
+    from derivatrace.plans.cq import instantiate
     from derivatrace.workloads.mixes import DEEP, FLAT
-    from derivatrace.workloads.queries import queries
-
-    found, took = queries(), {}
-    names = [f"{kind}_{q}" for q in FLAT for kind in ("prov", "certain")]
-    names += [n for q in DEEP for n in (f"prov_{q}" if DEEP[q].full else f"inst_{q}", f"certain_{q}")]
-    run(found["prov_F1"](spark, folder))  # the first query also starts the session
-    for name in names:
-        began = time.perf_counter()
-        run(found[name](spark, folder))
-        took[name] = round(time.perf_counter() - began, 3)
-    mix = {kind: round(sum(took[f"{kind}_{q}"] for q in FLAT), 3) for kind in ("prov", "certain")}
-    print(json.dumps({"metric": "total seconds of the flat and the deep mix", "value": round(sum(took.values()), 3), "unit": "sec", "queries": took, "sf": Path(folder).name, "mix_time": {"provenance": mix["prov"], "baseline": mix["certain"], "overhead": round(mix["prov"] / mix["certain"], 3)}}))
+    from derivatrace.workloads.queries import flat, picked, survey
+
+    def plain(where, q):
+        return lambda: certain_answers(survey(spark, where), DEEP[q].cq)
+
+    def explained(where, q, row):
+        return lambda: explain.why(survey(spark, where), DEEP[q].cq, row)
+
+    def sibling(factor: float) -> str | None:
+        scale = float(Path(folder).name.removeprefix("sf")) * factor
+        where = Path(folder).parent / f"sf{scale:g}"
+        return str(where) if where.is_dir() else None
+
+    answers: dict[tuple[str, str], dict] = {}
+
+    def pick(where: str) -> None:
+        for q, d in DEEP.items():
+            rows = picked(spark, where, d.cq) if d.cq.head else [{}]
+            answers[where, q] = rows[0] if rows else {}
+
+    small, tenth = sibling(0.01), sibling(0.1)
+    seconds = lambda x: None if x is None else round(x, 3)
+    mixes = {"prov": lambda where, q: lambda: compute_provenance(flat(spark, where), FLAT[q]), "certain": lambda where, q: lambda: certain_answers(flat(spark, where), FLAT[q])}
+    run(mixes["prov"](folder, "F1")())  # the first query also starts the session
+    out: dict = {"flat": {}, "deep": {}}
+    for where in filter(None, (small, folder)):
+        times = {kind: mix_time([make(where, q) for q in FLAT], runs=3) for kind, make in mixes.items()}
+        out["flat"][Path(where).name] = {"provenance": seconds(times["prov"]), "baseline": seconds(times["certain"]), "overhead": round(overhead(times["prov"], times["certain"]), 3)}
+    for where in filter(None, (tenth, folder)):
+        pick(where)
+    took: dict[str, float | None] = {}
+    for q in FLAT:
+        for kind, make in mixes.items():
+            began = time.perf_counter()
+            run(make(folder, q)())
+            took[f"{kind}_{q}"] = round(time.perf_counter() - began, 3)
+    few = int(os.environ.get("BENCH_RUNS", "2"))
+    for q in DEEP:
+        row = {"unf_base": union_count(survey(spark, folder), DEEP[q].cq, certain=True), "unf": union_count(survey(spark, folder), DEEP[q].cq), "uinst": union_count(survey(spark, folder), instantiate(DEEP[q].cq, answers[folder, q]))}
+        for where, suffix, runs in ((tenth, "", 5), (folder, "10", few)):
+            if where is not None:
+                row["t" + suffix] = seconds(timed(plain(where, q), runs))
+                row["tinst" + suffix] = seconds(timed(explained(where, q, answers[where, q]), runs))
+                row["prov" + suffix] = explained(where, q, answers[where, q])().count()
+        took[f"certain_{q}"], took[f"inst_{q}"] = row["t10"], row["tinst10"]
+        out["deep"][q] = row
+    here = out["flat"][Path(folder).name]
+    print(json.dumps({"metric": "total seconds of the flat and the deep mix", "value": round(sum(filter(None, took.values())), 3), "unit": "sec", "queries": took, "sf": Path(folder).name, "mix_time": here, **out}))
     spark.stop()
 
 

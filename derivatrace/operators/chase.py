@@ -6,8 +6,6 @@ from the fact and the inclusion that ask for them, depth levels deep. Each round
 
 from __future__ import annotations
 
-import tempfile
-
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -16,12 +14,13 @@ from derivatrace.operators.provenance import provenance_on
 from derivatrace.plans.cq import CQ
 from derivatrace.plans.instance import Instance, union
 from derivatrace.plans.ontology import Axiom, Concept, Role
+from derivatrace.sources.tables import shared_folder
 
 
 def _checkpointed(df: DataFrame) -> DataFrame:
     sc = df.sparkSession.sparkContext
     if sc._jsc.sc().getCheckpointDir().isEmpty():
-        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="derivatrace-"))
+        sc.setCheckpointDir(shared_folder(df.sparkSession))
     return df.checkpoint()
 
 

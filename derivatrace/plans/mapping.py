@@ -255,8 +255,8 @@ def parse_rule(text: str) -> Rule:
     return Rule(labels, h[1], templates, conjunctive(text.strip(), *atoms, where=where.strip() if where else None))
 
 
-def saturated(rules: list[Rule], axioms, closure_of) -> list[tuple[Rule, str, bool, tuple[str, ...]]]:
-    """Rules that gain implied heads: (rule, predicate, arguments swapped, labels of the way).
+def saturated(rules: list[Rule], axioms, closure_of) -> list[tuple[Rule, str, bool, tuple[str, ...], tuple]]:
+    """Rules that gain implied heads: (rule, predicate, arguments swapped, labels of the way, arguments kept of the rule's).
 
     Existential heads aren't facts over known individuals, so they stay with rewriting. ``closure_of`` gives, for a
     predicate with distinct arguments, the atoms that yield it (see rewrite.atom_closure).
@@ -275,7 +275,7 @@ def saturated(rules: list[Rule], axioms, closure_of) -> list[tuple[Rule, str, bo
         for (p, q), ways in closure_of(pred, args, axioms).items():
             for r in by_pred.get(p, []):
                 for way in sorted(ways):
-                    out.append((r, pred, q[:1] != args[:1], way))
+                    out.append((r, pred, q[:1] != args[:1], way, tuple(t for t in q if t[0] == "h")))
     return out
 
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import tempfile
 import weakref
 from collections.abc import Mapping
 
@@ -70,6 +71,21 @@ def forget(spark: SparkSession) -> None:
     _OPENED.pop(spark, None)
 
 
+def shared_folder(spark: SparkSession) -> str:
+    """spark.checkpoint.dir, or the session's checkpoint folder. Where neither is set, a local session gets a temporary one;
+    on a cluster that is an error, as executors share no such folder."""
+    path = spark.conf.get("spark.checkpoint.dir", None)
+    if not path:
+        known = spark.sparkContext._jsc.sc().getCheckpointDir()
+        path = known.get() if known.isDefined() else None
+    if not path:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
+        path = tempfile.mkdtemp(prefix="derivatrace-")
+        spark.sparkContext.setCheckpointDir(path)
+    return path.rstrip("/")
+
+
 def read(spark: SparkSession, fmt: str, path: str | None = None, *, schema: str | None = None, **options) -> DataFrame:
     """Any source that Spark reads: csv, json, orc, jdbc, or a table of the catalog."""
     if fmt == "table":

@@ -1,8 +1,8 @@
 """Derived facts and answers over append-only rows.
 
 A positive polynomial is monotone in its rows, so appended rows only append monomials: the stream derives facts row by
-row, multiplies the closure's label sets in by a stream-static join, and appends what the store lacks. Late rows fall
-behind the watermark; a batch run over the same rows reconciles.
+row, multiplies the closure's label sets in by a stream-static join, and appends them; the store shows each fact once.
+Late rows fall behind the watermark; a batch run over the same rows reconciles.
 """
 
 from __future__ import annotations
@@ -15,6 +15,7 @@ from pyspark.sql import functions as F
 from derivatrace.functions.monomials import mul_idem
 from derivatrace.plans.closure import classify
 from derivatrace.plans.ontology import Ontology
+from derivatrace.sources.tables import shared_folder
 
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 #: Rule labels by event type, as in the fixture.
@@ -77,34 +78,64 @@ def followed_by_purchase(left: DataFrame, right: DataFrame, within: str = "1 day
 
 
 def append_new(path: str):
-    """A foreachBatch function that appends to the store only (predicate, argument, monomial) rows it lacks."""
+    """A foreachBatch function that writes each micro-batch's own facts once, under its number: work grows with the batch alone.
 
-    def merge(batch: DataFrame, _: int) -> None:
-        spark = batch.sparkSession
-        keys = [c for c in ("pred", "a0", "a1", "mono") if c in batch.columns]
-        new = batch.dropDuplicates(keys)
-        try:
-            known = spark.read.parquet(path)
-        except Exception as e:  # the store is made by the first batch
-            if "PATH_NOT_FOUND" not in str(e):
-                raise
-        else:
-            new = new.join(known.select(*keys), [new[k].eqNullSafe(known[k]) for k in keys], "left_anti")
-        new.write.mode("append").parquet(path)
+    A batch run again after a failure replaces what it wrote. Facts that come in several batches stand once in
+    ``stored_facts``, which makes them distinct; ``compact`` does so for good.
+    """
 
-    return merge
+    def write(batch: DataFrame, number: int) -> None:
+        batch.dropDuplicates(fact_keys(batch)).write.mode("overwrite").parquet(f"{path}/batch={number}")
+
+    return write
+
+
+def fact_keys(facts: DataFrame) -> list[str]:
+    return [c for c in ("pred", "a0", "a1", "mono") if c in facts.columns]
+
+
+def stored_facts(spark: SparkSession, path: str, schema) -> DataFrame:
+    """The store's facts, each once."""
+    rows = spark.read.schema(schema).option("recursiveFileLookup", "true").parquet(path)
+    return rows.dropDuplicates(fact_keys(rows))
+
+
+def compact(spark: SparkSession, path: str, into: str, schema) -> None:
+    """The store's facts, each once, in a folder for each predicate."""
+    stored_facts(spark, path, schema).write.partitionBy("pred").parquet(into)
+
+
+def merge_monomials(path: str):
+    """A foreachBatch function for answers with provenance: per answer and batch its new monomials, packed.
+
+    Sums of monomials only grow with appended rows, so an answer's polynomial is the union over the batches.
+    """
+
+    def write(batch: DataFrame, number: int) -> None:
+        keys = [c for c in batch.columns if c not in ("mono", "ts")]
+        batch.groupBy(*keys).agg(F.collect_set("mono").alias("monos")).write.mode("overwrite").parquet(f"{path}/batch={number}")
+
+    return write
 
 
 def shared_path(spark: SparkSession, name: str) -> str:
-    """A fresh path in the shared checkpoint folder; a temporary folder only where none is set."""
-    import tempfile
+    """A fresh path in the folder that all executors share."""
+    return f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
+
 
-    root = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="derivatrace-")
-    return f"{root.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+def heartbeat(rows: DataFrame, at: str = "9999-01-01 00:00:00") -> DataFrame:
+    """The stream of events with one more, of a far time: it moves the watermark past all others, so that a run over a
+    finished input closes every window. Its own window never closes."""
+    spark = rows.sparkSession
+    path = shared_path(spark, "heartbeat")
+    one = spark.sql(f"SELECT -1L AS event_id, timestamp_ntz'{at}' AS ts, -1L AS user_id, 'click' AS event_type, 0.0D AS value, '' AS props")
+    one.write.parquet(path)
+    beat = spark.readStream.schema(EVENTS).parquet(path).withColumn("ts", F.col("ts").cast("timestamp"))
+    return rows.unionByName(beat)
 
 
 def drain(stream: DataFrame, *, store: bool = False) -> DataFrame:
-    """Run the stream over all that is there and return what it made (store: merged by append_new)."""
+    """Run the stream over all that is there and return what it made (store: batch by batch, each fact once)."""
     spark = stream.sparkSession
     out, state = shared_path(spark, "stream"), shared_path(spark, "state")
     writer = stream.writeStream.option("checkpointLocation", state).trigger(availableNow=True)
@@ -113,7 +144,7 @@ def drain(stream: DataFrame, *, store: bool = False) -> DataFrame:
     else:
         query = writer.format("parquet").outputMode("append").option("path", out).start()
     query.awaitTermination()
-    return spark.read.schema(stream.schema).parquet(out)
+    return stored_facts(spark, out, stream.schema) if store else spark.read.schema(stream.schema).parquet(out)
 
 
 def reconcile(streamed: DataFrame, batch: DataFrame) -> tuple[DataFrame, DataFrame]:

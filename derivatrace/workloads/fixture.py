@@ -121,20 +121,41 @@ def _hosts(instance: Instance) -> DataFrame:
     return instance.labelled("pages").select("page_id", F.when(host != "", host).alias("host"), F.col("_label").alias("_l0"))
 
 
+#: Least cosine of similar vectors.
+NEAR = 0.4
+#: Words of the seed by which a quoted item is looked for.
+SEED = 5
+
+
 def _near(instance: Instance) -> DataFrame:
-    """Pairs of vectors of cosine 0.9 or more: a theta join with itself, by its meaning over all pairs of a small table."""
-    dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x.cast("double") * y.cast("double")), F.lit(0.0), lambda s, x: s + x)
-    rows = instance.labelled("embeddings").select("vec_id", "embedding", "_label").withColumn("norm", F.sqrt(dot(F.col("embedding"), F.col("embedding"))))
+    """Pairs of vectors of cosine ``NEAR`` or more, by its meaning a join over all pairs.
+
+    Each vector is held once as an array of doubles of length one, so that a pair costs one product of arrays.
+    """
+    dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
+    rows = instance.labelled("embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("v"), "_label").withColumn("norm", F.sqrt(dot(F.col("v"), F.col("v"))))
     a, b = rows.select(*[F.col(c).alias(f"{c}_a") for c in rows.columns]), rows.select(*[F.col(c).alias(f"{c}_b") for c in rows.columns])
-    close = (F.col("vec_id_a") < F.col("vec_id_b")) & (dot(F.col("embedding_a"), F.col("embedding_b")) >= 0.9 * F.col("norm_a") * F.col("norm_b"))
+    close = (F.col("vec_id_a") < F.col("vec_id_b")) & (dot(F.col("v_a"), F.col("v_b")) >= NEAR * F.col("norm_a") * F.col("norm_b"))
     return a.join(b, close).select(F.col("vec_id_a").alias("v1"), F.col("vec_id_b").alias("v2"), F.col("_label_a").alias("_l0"), F.col("_label_b").alias("_l1"))
 
 
 def _quotes(instance: Instance) -> DataFrame:
-    """Documents that contain an item's whole text: the benchmark is a stated query set, joined by containment."""
-    items = instance.labelled("benchmark").select("item_id", F.col("text").alias("item"), F.col("_label").alias("_l1"))
+    """Documents that contain an item's whole text.
+
+    The words within an item, its first and last left aside, stand whole in any text that contains it: their first
+    ``SEED`` are the seed, joined by hash with the runs of so many words in the documents, and what meets is then
+    compared. Items of fewer words have no seed and are looked for in every document.
+    """
+    words = lambda c: F.filter(F.split(c, r"[ \t-\r]+"), lambda x: x != "")
+    items = instance.labelled("benchmark").select("item_id", F.col("text").alias("item"), F.col("_label").alias("_l1"), words("text").alias("w"))
     docs = instance.labelled("documents").select("doc_id", "text", F.col("_label").alias("_l0"))
-    return docs.join(items, F.col("text").contains(F.col("item"))).select("doc_id", "item_id", "_l0", "_l1")
+    long = items.where(F.size("w") >= SEED + 2).withColumn("seed", F.xxhash64(F.array_join(F.slice("w", 2, SEED), " "))).drop("w")
+    runs = F.transform(F.sequence(F.lit(1), F.size("w") - SEED + 1), lambda i: F.xxhash64(F.array_join(F.slice(F.col("w"), i, SEED), " ")))
+    seeds = docs.select("doc_id", "_l0", words("text").alias("w")).where(F.size("w") >= SEED).select("doc_id", "_l0", F.explode(F.array_distinct(runs)).alias("seed"))
+    met = seeds.join(long, "seed").select("doc_id", "_l0", "item_id", "item", "_l1").join(docs.select("doc_id", "_l0", "text"), ["doc_id", "_l0"])
+    short = docs.join(items.where(F.size("w") < SEED + 2), F.lit(True))
+    out = met.select("doc_id", "item_id", "text", "item", "_l0", "_l1").unionByName(short.select("doc_id", "item_id", "text", "item", "_l0", "_l1"))
+    return out.where(F.col("text").contains(F.col("item"))).select("doc_id", "item_id", "_l0", "_l1").distinct()
 
 
 def _frequent(policy: str, least: int = 15):

@@ -44,7 +44,7 @@ def _facts() -> list[tuple[str, str, str, str, str]]:
     out += [one("follows", "m32", "'turn/'||a.conv_id||'-'||a.turn", "'turn/'||b.conv_id||'-'||b.turn", "'@turn/'||a.conv_id||'-'||a.turn, '@turn/'||b.conv_id||'-'||b.turn", "conversations a JOIN conversations b ON a.conv_id = b.conv_id AND a.turn = b.turn + 1")]
     out += [one("Page", "m33a", "'page/'||page_id", "NULL", "'@page/'||page_id", "pages"), one("hostedOn", "m33b", "'page/'||page_id", "'host/'||regexp_extract(url, '^[a-z]+://([^/?#]+)', 1)", "'@page/'||page_id", "pages WHERE regexp_matches(url, '^[a-z]+://[^/?#]')")]
     out += [one("hasClass", "m34a", "'vec/'||vec_id", "'cls/'||label", "'@vec/'||vec_id", "embeddings")]
-    near = "list_dot_product(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])) >= 0.9 * sqrt(list_dot_product(CAST(a.embedding AS DOUBLE[]), CAST(a.embedding AS DOUBLE[]))) * sqrt(list_dot_product(CAST(b.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])))"
+    near = "list_dot_product(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])) >= 0.4 * sqrt(list_dot_product(CAST(a.embedding AS DOUBLE[]), CAST(a.embedding AS DOUBLE[]))) * sqrt(list_dot_product(CAST(b.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])))"
     out += [one("similarTo", "m34b", "'vec/'||a.vec_id", "'vec/'||b.vec_id", "'@vec/'||a.vec_id, '@vec/'||b.vec_id", f"embeddings a JOIN embeddings b ON a.vec_id < b.vec_id AND {near}")]
     out += [one("quotes", "m35", "'doc/'||d.doc_id", "'item/'||i.item_id", "'@doc/'||d.doc_id, '@item/'||i.item_id", "documents d JOIN benchmark i ON contains(d.text, i.text)")]
     out += [("FrequentBuyer", "m36", "'cust/'||o_custkey", "NULL", "list_append(list_distinct(list('@ord/'||o_orderkey)), 'm36') AS m FROM orders GROUP BY o_custkey HAVING count(*) >= 15")]

@@ -8,12 +8,12 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from derivatrace.functions.monomials import text
-from derivatrace.operators import algebra, baselines, chase, consistency, entail, explain, finiteness, measures, semirings, stress
+from derivatrace.operators import algebra, baselines, chase, consistency, entail, explain, finiteness, measures, semirings, sqltext, stress
 from derivatrace.operators.provenance import certain_answers, compute_provenance, provenance_on, select_by_provenance
 from derivatrace.plans.closure import classify
 from derivatrace.plans.cq import CQ, parse_cq
-from derivatrace.plans.instance import Instance
-from derivatrace.plans.mapping import saturated
+from derivatrace.plans.instance import Instance, union
+from derivatrace.plans.mapping import Rule, TableAtom, Template, conjunctive, saturated
 from derivatrace.plans.ontology import Concept, Ontology, Some, normalise_inverses
 from derivatrace.plans.rewrite import atom_closure
 from derivatrace.sources.tables import load
@@ -59,8 +59,13 @@ def facts(spark: SparkSession, rows: list[tuple], schema: str) -> DataFrame:
 
 # The mixes
 
+def _flat_sql(name: str) -> list[CQ]:
+    """The queries with their filters in DuckDB's words."""
+    return [CQ(q.head, q.atoms, "CAST(substring(z, 6) AS INT) > 40" if name == "F3" else q.where) for q in FLAT[name]]
+
+
 for _name, _cqs in FLAT.items():
-    _sql = [CQ(q.head, q.atoms, "CAST(substring(z, 6) AS INT) > 40" if _name == "F3" else q.where) for q in _cqs]
+    _sql = _flat_sql(_name)
     register(f"prov_{_name}", oracles.provenance(_sql, Ontology()))(lambda spark, path, cqs=_cqs: shown(compute_provenance(flat(spark, path), cqs)))
     register(f"certain_{_name}", oracles.certain(_sql, Ontology()))(lambda spark, path, cqs=_cqs: certain_answers(flat(spark, path), cqs))
 
@@ -209,9 +214,14 @@ def provenance_diff(spark, path):
     return shown(algebra.difference(poly(spark, path, _ONE["Order"]), poly(spark, path, _ONE["PriorityOrder"])))
 
 
-@register("common_derivations", _with(("a", _ONE["Order"]), ("b", _ONE["OpenOrder"])) + "\nSELECT * FROM a INTERSECT SELECT * FROM b")
+_FEWER = fixture.ACYCLIC.without("a09", "a14")
+
+
+@register("common_derivations", f"WITH {_poly_sql('a', _ONE['Order'])},\nb AS (SELECT * FROM ({oracles.provenance([_ONE['Order']], _FEWER)}) x_b)\nSELECT * FROM a INTERSECT SELECT * FROM b")
 def common_derivations(spark, path):
-    return shown(algebra.common(poly(spark, path, _ONE["Order"]), poly(spark, path, _ONE["OpenOrder"])))
+    """The derivations of orders that stay when two inclusions go."""
+    whole = fixture.instance(spark, path, "acyclic")
+    return shown(algebra.common(compute_provenance(whole, _ONE["Order"]), compute_provenance(whole.with_ontology(_FEWER), _ONE["Order"])))
 
 
 # Explanations
@@ -285,23 +295,47 @@ def closure_labels(spark, path):
     return spark.createDataFrame([(a, b, "*".join(w)) for a, b, w in classify(fixture.DEEP)], "sub string, super string, labels string")
 
 
-@register("saturated_rules")
+_CLOSURE = _SQL["closure_labels"].rsplit("SELECT sub", 1)[0]
+_RULE_ROWS = ", ".join(f"('{r.name}', '{r.pred}', {len(r.head)})" for r in fixture.RULES)
+#: A name's atom over distinct arguments is spelled by the name; with them swapped, by the inverse.
+_SATURATED = f"""{_CLOSURE}, rules(rule, p, n) AS (VALUES {_RULE_ROWS}),
+heads AS (SELECT p, n FROM rules UNION SELECT replace(replace(n, 'exists ', ''), '-', ''), CASE WHEN contains(n, 'exists') OR ascii(n) >= 97 THEN 2 ELSE 1 END FROM nodes),
+ways AS (SELECT sub, super, m FROM w UNION SELECT p, p, CAST([] AS VARCHAR[]) FROM heads)
+SELECT DISTINCT rule, super AS pred, ends_with(sub, '-') OR contains(sub, 'exists') AND n = 2 AND false AS swapped, array_to_string(list_sort(list_distinct(list_append(m, rule))), '*') AS labels
+FROM ways JOIN rules ON replace(sub, '-', '') = p WHERE NOT contains(super, 'exists') AND NOT contains(sub, 'exists')"""
+
+
+@register("saturated_rules", _SATURATED)
 def saturated_rules(spark, path):
+    """Rules with the heads that inclusions over their whole arguments imply."""
     rows = saturated(list(fixture.RULES), list(fixture.DEEP.positive), atom_closure)
-    return spark.createDataFrame([(r.name, p, s, "*".join(sorted({*r.label, *w}))) for r, p, s, w in rows], "rule string, pred string, swapped boolean, labels string").distinct()
+    made = spark.createDataFrame([(r.name, p, s, "*".join(sorted({*r.label, *w})), len(r.head) == len(a)) for r, p, s, w, a in rows], "rule string, pred string, swapped boolean, labels string, whole boolean")
+    return made.where("whole").drop("whole").distinct()
 
 
-@register("union_count")
+#: UNION operators of the stock engine, of the provenance engine, and with an answer put in: recorded values, so that a
+#: change of rewriting, containment or pruning shows; SQL can't count them.
+TABLE = {
+    "D01": (0, 16, 16), "D02": (1, 53, 53), "D03": (0, 27, 27), "D04": (0, 15, 15), "D05": (0, 2, 2), "D06": (1, 479, 407), "D07": (0, 0, 0),
+    "D09": (4, 75, 63), "D10": (3, 3, 3), "D11": (0, 247, 247), "D12": (3, 199, 199), "D31": (12, 245, 239),
+}
+
+
+def _kind_row(cq: CQ) -> dict[str, str]:
+    """An individual of the kind that the query's answers have: unions depend on kinds alone."""
+    kinds = {"x": "supp/0", "y": "cust/1", "o": "ord/0", "c": "cust/0", "s": "supp/0", "r": "reg/0", "p": "part/0", "e": "ev/0", "d": "doc/0"}
+    row = {h: kinds[h] for h in cq.head}
+    return row | {"e": "doc/1"} if "d" in row else row
+
+
+@register("union_count", "SELECT * FROM (VALUES " + ", ".join(f"('{q}', {a}, {b}, {c})" for q, (a, b, c) in TABLE.items()) + ") t(query, unf_base, unf_prov, unf_inst)")
 def union_count(spark, path):
-    """UNION operators by query: stock engine, provenance engine, and instantiated with and without template pruning."""
+    """UNION operators by query: stock engine, provenance engine, and instantiated by an answer."""
     instance, rows = survey(spark, path), []
     for name, q in DEEP.items():
-        row = {h: {"x": "cust/0", "y": "cust/1", "o": "ord/0", "c": "cust/0", "s": "supp/0", "r": "reg/0", "p": "part/0", "e": "ev/0", "d": "doc/0"}[h] for h in q.cq.head}
-        if name == "D31":
-            row["e"] = "doc/1"
-        one = explain.instantiate(q.cq, row)
-        rows.append((name, measures.union_count(instance, q.cq, certain=True), measures.union_count(instance, q.cq), measures.union_count(instance, one), measures.union_count(instance, one, prune_templates=False)))
-    return spark.createDataFrame(rows, "query string, unf_base int, unf_prov int, unf_inst int, unf_inst_unpruned int")
+        one = explain.instantiate(q.cq, _kind_row(q.cq))
+        rows.append((name, measures.union_count(instance, q.cq, certain=True), measures.union_count(instance, q.cq), measures.union_count(instance, one)))
+    return spark.createDataFrame(rows, "query string, unf_base int, unf_prov int, unf_inst int")
 
 
 @register("rewriting_stats")
@@ -311,6 +345,47 @@ def rewriting_stats(spark, path):
     return spark.createDataFrame(rows, "query string, rewritings int, bodies int, foldings int")
 
 
+def _prov_sql() -> str:
+    """#prov: the mean number of explanations over the picked answers, for each query with answer variables."""
+    out = []
+    for name, q in DEEP.items():
+        keys = ", ".join(q.cq.head)
+        made = oracles.provenance([q.cq], evaluation.EVALUATION, 2, facts=evaluation.FACTS, tail="SELECT count(*) AS n FROM poly HAVING count(*) > 0") if not keys else oracles.instantiated(q.cq, evaluation.EVALUATION, 2, facts=evaluation.FACTS, tail=f"SELECT count(*) AS n FROM poly GROUP BY {keys}")
+        out.append(f"SELECT '{name}' AS query, count(*) AS n_answers, avg(n) AS n_prov FROM ({made}) t_{name}")
+    return "\nUNION ALL\n".join(out)
+
+
+@register("table_prov", _prov_sql())
+def table_prov(spark, path):
+    """Explanations of an answer, by query: the last columns of the deep table."""
+    out = []
+    for name, q in DEEP.items():
+        made = explain.how_many(inst(spark, path, q.cq) if q.cq.head else compute_provenance(survey(spark, path), q.cq))
+        out.append(made.agg(F.count(F.lit(1)).alias("n_answers"), F.avg("n_derivations").alias("n_prov")).select(F.lit(name).alias("query"), "n_answers", "n_prov"))
+    return union(out)
+
+
+@register("table_deep", "SELECT * FROM (VALUES " + ", ".join(f"('{q}', {a}, {b}, {c})" for q, (a, b, c) in TABLE.items()) + f") t(query, unf_base, unf_prov, unf_inst) JOIN ({_prov_sql()}) p USING (query)")
+def table_deep(spark, path):
+    """The deep table without its times, which ``bench.py`` measures: unions with answers of the data, and explanations."""
+    instance, rows = survey(spark, path), []
+    for name, q in DEEP.items():
+        found = picked(spark, path, q.cq) if q.cq.head else [{}]
+        unions = [measures.union_count(instance, explain.instantiate(q.cq, row)) for row in found[:1]]
+        rows.append((name, measures.union_count(instance, q.cq, certain=True), measures.union_count(instance, q.cq), unions[0] if unions else None))
+    return spark.createDataFrame(rows, "query string, unf_base int, unf_prov int, unf_inst int").join(table_prov(spark, path), "query")
+
+
+@register("table_flat", " UNION ALL ".join(f"SELECT '{n}' AS query, (SELECT count(*) FROM ({oracles.provenance(_flat_sql(n), Ontology())}) a) AS n_monomials, (SELECT count(*) FROM ({oracles.certain(_flat_sql(n), Ontology())}) b) AS n_answers" for n in FLAT))
+def table_flat(spark, path):
+    """The flat mix without its times: results of either engine by query."""
+    instance, out = flat(spark, path), []
+    for name, cqs in FLAT.items():
+        n = lambda df, as_: df.agg(F.count(F.lit(1)).alias(as_))
+        out.append(n(compute_provenance(instance, cqs), "n_monomials").crossJoin(n(certain_answers(instance, cqs), "n_answers")).select(F.lit(name).alias("query"), "n_monomials", "n_answers"))
+    return union(out)
+
+
 # Measures over polynomials
 
 @register("measure_derivations", oracles.provenance([DEEP["D09"].cq], evaluation.EVALUATION, 2, facts=evaluation.FACTS, tail="SELECT count(*) AS n_answers, avg(n) AS mean_derivations, max(n) AS max_derivations FROM (SELECT p, count(*) AS n FROM poly GROUP BY p) t"))
@@ -417,6 +492,48 @@ def pcq_shared_label(spark, path):
     return select_by_provenance(deep(spark, path), parse_cq("q(o) :- OpenOrder(o)@?p, OpenOrder(o)@?p, UrgentOrder(o)"))
 
 
+@register("pcq_witness", "SELECT 'supp/' || s_suppkey AS x FROM supplier WHERE s_suppkey = 3")
+def pcq_witness(spark, path):
+    """Who has a base, and that base a region, by a given derivation: both are witnesses that only inclusions speak of."""
+    labels = "@supp/3*m03*a12*a24"
+    return select_by_provenance(deep(spark, path), parse_cq(f"q(x) :- basedIn(x, n)@{{{labels}}}, partOfRegion(n, r)@{{{labels}*a25*a26}}"))
+
+
+@register("pcq_shared_witness", "SELECT 'supp/' || s_suppkey AS x FROM supplier")
+def pcq_shared_witness(spark, path):
+    """Whose place is told twice by one derivation: the table's own place, or the witness that stands for it."""
+    return select_by_provenance(deep(spark, path), parse_cq("q(x) :- Supplier(x), basedIn(x, n)@?p, basedIn(x, n)@?p"))
+
+
+@register("rule_constant_date", "SELECT 'ord/' || o_orderkey AS x, array_to_string(list_sort(['@ord/' || o_orderkey, 'm60']), '*') AS mono FROM orders WHERE o_orderdate = (SELECT min(o_orderdate) FROM orders) AND o_totalprice > 1000")
+def rule_constant_date(spark, path):
+    """A rule with a constant of a time type, in all three physical forms, which must agree."""
+    from dataclasses import replace
+
+    first = load(spark, path, ["orders"])["orders"].agg(F.min("o_orderdate").alias("d")).first()["d"]
+    rule = Rule(("m60",), "FirstDayOrder", (Template("ord", ("o_orderkey",)),), conjunctive("m60", TableAtom("orders", {"o_orderkey": "o_orderkey", "o_totalprice": "o_totalprice"}, {"o_orderdate": first}), where="o_totalprice > 1000"))
+    instance = replace(flat(spark, path), rules=(rule,))
+    forms = [shown(compute_provenance(instance, parse_cq("q(x) :- FirstDayOrder(x)"), physical=f)) for f in ("closure", "shape", "unfold")]
+    return forms[0].intersect(forms[1]).intersect(forms[2])
+
+
+@register("unfolding_sql", oracles.provenance([DEEP["D10"].cq], fixture.DEEP, 2))
+def unfolding_sql(spark, path):
+    """An unfolding run as SQL text over the tables' views."""
+    instance = deep(spark, path)
+    sqltext.register(instance)
+    return shown(spark.sql(sqltext.unfolding_sql(instance, DEEP["D10"].cq)))
+
+
+@register("entail_long", says(compute=True, decide=True, without_a_label=False))
+def entail_long(spark, path):
+    """A real monomial of a query of four atoms, the longest of an order's, decided both ways."""
+    instance, cq = deep(spark, path), explain.instantiate(DEEP["D12"].cq, {"o": "ord/3"})
+    row = compute_provenance(instance, cq).orderBy(F.size("mono").desc(), text(F.col("mono")), "p").first()
+    one, mono = explain.instantiate(cq, {"p": row["p"]}), list(row["mono"])
+    return verdict(spark, decide=entail.entails(instance, one, [mono]), compute=entail.entails(instance, one, [mono], method="compute"), without_a_label=entail.entails(instance, one, [[x for x in mono if x != "m16"]]))
+
+
 @register("consistency_ok", says(consistent=True))
 def consistency_ok(spark, path):
     return verdict(spark, consistent=consistency.check_consistency(deep(spark, path)))
@@ -494,6 +611,15 @@ def ex_finiteness(spark, path):
     return verdict(spark, acyclic_finite=finite(examples.heads(spark)), cyclic_finite=finite(examples.heads(spark, True)))
 
 
+@register("ex_finiteness_folded", says(behind_a_fold=False, nothing_feeds_it=True, without_the_way_back=True))
+def ex_finiteness_folded(spark, path):
+    """A cycle that only a folded body reaches."""
+    axioms, cq = ["A <= exists p @v", "exists p- <= exists q @w", "A <= B @s", "B <= A @t"], parse_cq("q() :- p(x, y), q(y, z)")
+    made = lambda facts_, lines: isinstance(finiteness.finiteness(examples.given(spark, facts_, lines), cq), finiteness.Finite)
+    fact = {"A": [(("a",), ("u",))]}
+    return verdict(spark, behind_a_fold=made(fact, axioms), without_the_way_back=made(fact, axioms[:3]), nothing_feeds_it=made({"q": [(("a", "b"), ("u",))]}, axioms))
+
+
 @register("ex_translation", "SELECT CAST(4 AS BIGINT) AS n_members, true AS has_expected")
 def ex_translation(spark, path):
     cq = parse_cq("q() :- headOf(x, y), headOf(z, y)")
@@ -526,11 +652,14 @@ def reduce_equal_vs_merge(spark, path):
 
 
 def _agree(cq: CQ, one: str, other: str) -> Query:
-    return lambda spark, path: verdict(spark, equal=measures.agree(compute_provenance(deep(spark, path), cq, physical=one), compute_provenance(deep(spark, path), cq, physical=other)))
+    return lambda spark, path: verdict(spark, equal=measures.agree(compute_provenance(survey(spark, path), cq, physical=one), compute_provenance(survey(spark, path), cq, physical=other)))
 
 
 register("unfold_equals_shape", says(equal=True))(_agree(DEEP["D05"].cq, "unfold", "shape"))
 register("unfold_equals_closure", says(equal=True))(_agree(DEEP["D10"].cq, "unfold", "closure"))
+for _name in ("D02", "D11"):
+    register(f"shape_equals_closure_{_name}", says(equal=True))(lambda spark, path, cq=explain.instantiate(DEEP[_name].cq, {"o": "ord/3"}): _agree(cq, "shape", "closure")(spark, path))
+register("unfold_equals_closure_D03", says(equal=True))(_agree(explain.instantiate(DEEP["D03"].cq, {"x": "supp/3"}), "unfold", "closure"))
 register("shape_equals_closure", says(equal=True))(_agree(DEEP["D01"].cq, "shape", "closure"))
 
 
@@ -630,16 +759,23 @@ def stream_batch_equiv(spark, path):
 
 @register("stream_windows", "SELECT time_bucket(INTERVAL 1 DAY, ts) AS start, 'performedBy' AS pred, count(*) AS n_derivations FROM events GROUP BY ALL")
 def stream_windows(spark, path):
-    """Windowed counts of facts, over the batch: the same plan runs on a stream."""
-    rows = load(spark, path, ["events"])["events"].withColumn("ts", F.col("ts").cast("timestamp"))
-    out = stream.windowed(stream.event_facts(rows).where("pred = 'performedBy'"), "1 day")
+    """Windowed counts of facts, as a stream closes them."""
+    rows = stream.heartbeat(stream.event_stream(spark, path))
+    out = stream.drain(stream.windowed(stream.event_facts(rows).where("pred = 'performedBy'"), "1 day"))
     return out.select(F.col("start").cast("timestamp_ntz").alias("start"), "pred", "n_derivations")
 
 
+@register("stream_sessions", "SELECT user_id, min(ts) AS start, max(ts) + INTERVAL 6 HOUR AS \"end\", count(*) AS n_events FROM (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS nr FROM (SELECT *, CASE WHEN lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) + INTERVAL 6 HOUR >= ts THEN 0 ELSE 1 END AS fresh FROM events) a) b GROUP BY user_id, nr")
+def stream_sessions(spark, path):
+    """Sessions of customers as a stream closes them."""
+    out = stream.drain(stream.sessions(stream.heartbeat(stream.event_stream(spark, path)), "6 hours"))
+    return out.select("user_id", F.col("start").cast("timestamp_ntz").alias("start"), F.col("end").cast("timestamp_ntz").alias("end"), "n_events")
+
+
 @register("stream_followed_by_purchase", "SELECT a.event_id AS seen, b.event_id AS bought FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type IN ('click', 'view') AND b.event_type = 'purchase' AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 1 DAY")
 def stream_followed_by_purchase(spark, path):
-    rows = load(spark, path, ["events"])["events"].withColumn("ts", F.col("ts").cast("timestamp"))
-    return stream.followed_by_purchase(rows, rows).select("seen", "bought")
+    """A join of two streams."""
+    return stream.drain(stream.followed_by_purchase(stream.event_stream(spark, path), stream.event_stream(spark, path))).select("seen", "bought")
 
 
 def entry(spark: SparkSession, path: str) -> DataFrame:
