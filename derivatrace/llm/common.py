@@ -4,7 +4,6 @@ from __future__ import annotations
 
 import contextlib
 import ctypes
-import tempfile
 import uuid
 from collections.abc import Callable, Iterator
 
@@ -13,6 +12,8 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from derivatrace.sources.tables import shared_folder
+
 #: Word bytes after lower-casing A-Z: digits, a-z and every byte of a non-ASCII character.
 WORD_TABLE = bytes(c + 32 if 65 <= c <= 90 else c if 48 <= c <= 57 or 97 <= c <= 122 or c >= 128 else 32 for c in range(256))
 #: Only lower-cases A-Z.
@@ -20,15 +21,8 @@ LOWER_TABLE = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share, from spark.checkpoint.dir; a temporary one only where that is unset."""
-    path = spark.conf.get("spark.checkpoint.dir", None)
-    if not path:
-        known = spark.sparkContext._jsc.sc().getCheckpointDir()
-        path = known.get() if known.isDefined() else None
-    if not path:
-        path = tempfile.mkdtemp(prefix="derivatrace-")
-        spark.sparkContext.setCheckpointDir(path)
-    return path.rstrip("/")
+    """The folder all executors share, from spark.checkpoint.dir; a temporary one only where that is unset, in a local session."""
+    return shared_folder(spark)
 
 
 def fresh_path(spark: SparkSession, name: str) -> str:
@@ -66,6 +60,14 @@ def only_keyed(docs: DataFrame, keys: DataFrame, id_col: str, names: tuple[str,
     return marked.join(keys, column(marked, id_col).eqNullSafe(keys[f"{p}id"]) & (marked[f"{p}own"] == keys[f"{p}key"]), how)
 
 
+def spread_join(rows: DataFrame, keyed: DataFrame, on: list[str], salts: int, by: Column) -> DataFrame:
+    """Inner join of many rows with a table of few rows a key: each key's rows are dealt over so many tasks by a hash,
+    and the table's row stands in each of them. A hot key is split; nothing is collected or broadcast."""
+    left = rows.withColumn("_salt", F.pmod(by, F.lit(salts)).cast("int"))
+    right = keyed.withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
+    return left.join(right, [*on, "_salt"]).drop("_salt")
+
+
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
