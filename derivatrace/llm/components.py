@@ -5,18 +5,20 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from derivatrace.llm.common import cut
+from derivatrace.llm.common import cut, spread_join
+
+SALTS = 16
 
 
 def _stars(links: DataFrame, smaller: bool) -> DataFrame:
     """One round: each node's (larger or smaller) neighbours are linked to its least neighbour.
 
-    The least neighbour is a pre-aggregated minimum joined back to the links, so a node with very many links is never
-    gathered in one task; AQE splits its part of the join.
+    The least neighbour is a pre-aggregated minimum joined back to the links; a node with very many links is dealt over
+    ``SALTS`` tasks there.
     """
     both = links.select("u", "v") if smaller else links.select("u", "v").unionByName(links.select(F.col("v").alias("u"), F.col("u").alias("v")))
     least = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
-    joined = both.join(least, "u")
+    joined = spread_join(both, least, ["u"], SALTS, F.xxhash64("v"))
     if smaller:  # u > v holds for all links
         out = joined.select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(joined.select("u", F.col("m").alias("v")))
     else:

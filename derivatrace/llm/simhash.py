@@ -27,10 +27,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from derivatrace.llm.common import LOWER_TABLE, as_bytes, column, cut, free_prefix, only_keyed, row_key, tidy
-from derivatrace.llm.components import components
+from derivatrace.llm.common import LOWER_TABLE, as_bytes, column, cut, free_prefix, only_keyed, row_key, spread_join, tidy
+from derivatrace.llm.components import SALTS, components
 
 WORDS, SEED, RADIUS, TILE, SUBTILE, STEP = 4, 42, 4, 4096, 512, 1 << 15
+#: Tasks over which the documents of one fingerprint are dealt when they take its component.
+COPIES = 4
 _hash = xxhash.xxh64_intdigest
 
 
@@ -179,12 +181,18 @@ def near_links(nodes: DataFrame, radius: int = RADIUS, blocks: int | None = None
 
 
 def classes(prints: DataFrame, name: str, first: F.Column, radius: int = RADIUS) -> DataFrame:
-    """node, head: for each distinct fingerprint the least ``first`` of its component."""
+    """node, head: for each distinct fingerprint the least ``first`` of its component.
+
+    Most fingerprints are a component of their own and need no more; the others' heads are pre-aggregated minima, joined
+    back over ``SALTS`` tasks a component.
+    """
     nodes = cut(prints.groupBy(F.col(name).alias("node")).agg(F.min(first).alias("first")), "nodes")
-    found = components(near_links(nodes.select("node"), radius))
-    rooted = nodes.join(found.withColumnRenamed("u", "node"), "node", "left").select("node", "first", F.coalesce("root", "node").alias("root"))
+    found = cut(components(near_links(nodes.select("node"), radius)).select(F.col("u").alias("node"), "root"), "roots")
+    member = found.unionByName(found.select(F.col("root").alias("node"), "root").distinct())
+    rooted = nodes.join(member, "node")
     heads = rooted.groupBy("root").agg(F.min("first").alias("head"))
-    return rooted.join(heads, "root").select("node", "head")
+    own = nodes.join(member.select("node"), "node", "left_anti").select("node", F.col("first").alias("head"))
+    return own.unionByName(spread_join(rooted, heads, ["root"], SALTS, F.xxhash64("node")).select("node", "head"))
 
 
 def near_duplicates(docs: DataFrame, *, id_col: str = "doc_id", text: str = "text", radius: int = RADIUS, k: int = WORDS) -> DataFrame:
@@ -192,7 +200,7 @@ def near_duplicates(docs: DataFrame, *, id_col: str = "doc_id", text: str = "tex
     lean = docs.select(column(docs, id_col).alias("doc_id"), column(docs, text).alias("__text"))
     prints = cut(with_fingerprints(lean, text="__text", name="node", k=k), "fingerprints")
     found = classes(prints, "node", F.col("doc_id"), radius)
-    return prints.join(found, "node").select("doc_id", F.lower(F.lpad(F.hex("node"), 16, "0")).alias("fingerprint"), F.col("head").alias("component_id"))
+    return spread_join(prints, found, ["node"], COPIES, F.xxhash64("doc_id")).select("doc_id", F.lower(F.lpad(F.hex("node"), 16, "0")).alias("fingerprint"), F.col("head").alias("component_id"))
 
 
 def one_of_each(docs: DataFrame, *, id_col: str = "doc_id", text: str = "text", radius: int = RADIUS, k: int = WORDS) -> DataFrame:
