@@ -3,7 +3,8 @@
 A segment is a byte string: a header, the byte offset of each block, then the blocks. A block holds ``BLOCK`` ids of
 fixed width, so any id's place is known without reading what comes before, and numpy unpacks whole blocks at once. The
 files are Parquet tables of segments (any store that Spark writes to, with its commit protocol): each row has the
-segment, the ids that its part holds before it, and its documents' ids and lengths. Rows come in ascending order of
+segment, the ids that its part holds before it, its documents' ids and lengths, and the least and greatest of these ids,
+so that a reader in search of one document skips row groups by their statistics. Rows come in ascending order of
 document id over the parts.
 
 Nulls and edges: a null or empty text is only the end id; a null document id comes first; rows of equal ids stand side
@@ -120,11 +121,13 @@ class Encoder:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True
         spec = json.loads(self.tokenizer.to_str())
         before = spec.get("pre_tokenizer") or {}
         plain = before.get("type") == "ByteLevel" and not before.get("add_prefix_space") and before.get("use_regex", True) and not spec.get("normalizer") and spec["model"]["type"] == "BPE"
         self.pattern = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+") if plain else None  # fixed value
+        # Texts that hold one of the file's added tokens go through the library whole, as it takes these out first.
+        added = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
+        self.added = re.compile("|".join(map(re.escape, added))) if added else None
         self.bits = width(self.tokenizer.get_vocab_size())
         self.kind = "<u2" if self.bits <= 16 else "<u4"
         # Byte-level files write a space as this letter.
@@ -187,6 +190,8 @@ class Encoder:
         for text in texts:
             if len(text) > _PIECE and _CUT.search(text, _PIECE):
                 split.append(b"".join(self.pieces(text)))
+            elif self.added and self.added.search(text):
+                split.append(self.whole(text))
             elif even(text):
                 lines = []
                 for line in text.split("\n"):
@@ -225,22 +230,34 @@ SEGMENTS = T.StructType(
         T.StructField("seq", T.IntegerType()),
         T.StructField("part_start", T.LongType()),
         T.StructField("n_ids", T.LongType()),
+        T.StructField("least_id", T.LongType()),
+        T.StructField("greatest_id", T.LongType()),
         T.StructField("doc_ids", T.ArrayType(T.LongType())),
         T.StructField("lengths", T.ArrayType(T.LongType())),
         T.StructField("packed", T.BinaryType()),
     ]
 )
-_ARROW = pa.schema([("part", pa.int32()), ("seq", pa.int32()), ("part_start", pa.int64()), ("n_ids", pa.int64()), ("doc_ids", pa.list_(pa.int64())), ("lengths", pa.list_(pa.int64())), ("packed", pa.binary())])
+_ARROW = pa.schema([("part", pa.int32()), ("seq", pa.int32()), ("part_start", pa.int64()), ("n_ids", pa.int64()), ("least_id", pa.int64()), ("greatest_id", pa.int64()), ("doc_ids", pa.list_(pa.int64())), ("lengths", pa.list_(pa.int64())), ("packed", pa.binary())])
+
+
+PART_BYTES = 256 << 20
+
+
+def plan_bytes(df: DataFrame) -> int:
+    """The planner's estimate of a frame's bytes; 0 where it has none."""
+    size = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    return size if size < 1 << 60 else 0
 
 
 def write_ids(docs: DataFrame, path: str, *, tokenizer: str, id_col: str = "doc_id", text: str = "text", end_id: int = 0) -> None:
     """Write the packed ids of every text, each with the end id, under the path in ascending order of document id.
 
-    The range partitioning deals texts by (id, hash of the text); a task holds one run of 4 MB of text at a time.
+    The range partitioning deals texts by (id, hash of the text) into at least the session's shuffle partitions, and more
+    where these would hold over ``PART_BYTES`` of the planner's estimate; a task holds one run of 4 MB of text at a time.
     """
     lean = docs.select(column(docs, id_col).cast("long").alias("doc_id"), F.coalesce(column(docs, text), F.lit("")).alias("text"))
     key = F.xxhash64("text")
-    parts = int(lean.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    parts = max(int(lean.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-plan_bytes(lean) // PART_BYTES))
     ordered = lean.repartitionByRange(parts, "doc_id", key).sortWithinPartitions("doc_id", key)
 
     def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -252,7 +269,8 @@ def write_ids(docs: DataFrame, path: str, *, tokenizer: str, id_col: str = "doc_
 
         def segment() -> pa.RecordBatch:
             packed = pack(np.frombuffer(b"".join(ids), enc.kind), enc.bits)
-            return pa.RecordBatch.from_pydict({"part": [part], "seq": [seq], "part_start": [before], "n_ids": [held], "doc_ids": [list(docs_)], "lengths": [list(lengths)], "packed": [packed]}, schema=_ARROW)
+            named = [d for d in docs_ if d is not None]
+            return pa.RecordBatch.from_pydict({"part": [part], "seq": [seq], "part_start": [before], "n_ids": [held], "least_id": [min(named, default=None)], "greatest_id": [max(named, default=None)], "doc_ids": [list(docs_)], "lengths": [list(lengths)], "packed": [packed]}, schema=_ARROW)
 
         for doc_ids, texts in runs(batches):
             for d, got in zip(doc_ids, enc.encode(texts), strict=True):
@@ -327,12 +345,18 @@ def _read(spark: SparkSession, path: str, last: list[T.StructField], kind: pa.Da
 
 
 def document_ids(spark: SparkSession, path: str, doc_id: int) -> list[np.ndarray]:
-    """Random access: the ids of one document, unpacked from the blocks that hold them alone."""
-    out = []
-    for r in spark.read.schema(SEGMENTS).parquet(path).where(F.array_contains("doc_ids", F.lit(doc_id).cast("long"))).toLocalIterator():
-        ends = np.cumsum(r["lengths"])
-        out += [unpack(bytes(r["packed"]), int(e - n), int(e)) for d, e, n in zip(r["doc_ids"], ends, r["lengths"], strict=True) if d == doc_id]
-    return out
+    """Random access: the ids of one document (of each row with the id), unpacked by the tasks that hold its segments, from its blocks alone."""
+    wanted = F.lit(doc_id).cast("long")
+
+    def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for docs_, lengths, packed in zip(*(b.column(c).to_pylist() for c in ("doc_ids", "lengths", "packed")), strict=True):
+                ends = np.cumsum(lengths)
+                found = [unpack(packed, int(e - n), int(e)) for d, e, n in zip(docs_, ends, lengths, strict=True) if d == doc_id]
+                yield pa.RecordBatch.from_arrays([pa.array([f.tobytes() for f in found], pa.binary())], names=["ids"])
+
+    near = spark.read.schema(SEGMENTS).parquet(path).where((F.col("least_id") <= wanted) & (F.col("greatest_id") >= wanted) & F.array_contains("doc_ids", wanted))
+    return [np.frombuffer(bytes(r["ids"]), np.uint32) for r in near.select("doc_ids", "lengths", "packed").mapInArrow(make, "ids binary").toLocalIterator()]
 
 
 def token_digests(docs: DataFrame, *, tokenizer: str, **options) -> DataFrame:
