@@ -6,6 +6,7 @@ from collections.abc import Callable
 
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from derivatrace.llm import decontam, licenses, mixing, oracles, quality, secret_scan, simhash, spans, token_counts, token_output, url_filter
 from derivatrace.llm.common import documents
@@ -32,7 +33,9 @@ def op4_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op5_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return licenses.license_scan(documents(spark, sf_dir)).drop("spans")
+    """Spans as text: label:first word:words:edits, comma-joined."""
+    found = licenses.license_scan(documents(spark, sf_dir))
+    return found.withColumn("spans", F.array_join(F.transform("spans", lambda s: F.concat_ws(":", s["label"], s["word"], s["words"], s["edits"])), ","))
 
 
 def op6_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
