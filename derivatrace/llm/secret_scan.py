@@ -1,8 +1,9 @@
 """Secret scan: fixed patterns, and character Markov models for what they miss.
 
 Two models of character pairs are trained on labelled samples, one on random strings and one on ordinary identifiers.
-A candidate (a long run of key characters that mixes classes) is reported as ``random`` when the log-likelihood ratio
-of the two models, for each character, exceeds a threshold. Spans of the fixed patterns always stay.
+A candidate (a run of 16 key characters or more, of whatever classes) is reported as ``random`` when the log-likelihood
+ratio of the two models, for each character, exceeds a threshold, unless a span of the fixed patterns holds it already.
+Spans of the fixed patterns always stay.
 
 Nulls and edges: a null or empty text has no span and the digest of the empty string; places are code points with
 exclusive ends; repeated rows are judged each, alike. Texts are scanned whole.
@@ -35,6 +36,8 @@ _HEX = re.compile(r"[0-9a-f]{24,}")
 _CANDIDATE = re.compile(r"[A-Za-z0-9+/_=-]{16,}")
 KINDS = ("assign", "access", "hex", "random")
 _ALPHABET = 128
+#: Log-likelihood ratio a character above which a run is reported; README has recall and false finds by threshold.
+THRESHOLD = 0.7
 
 
 class Markov:
@@ -96,11 +99,10 @@ def base_spans(text: str) -> list[tuple[int, int, int]]:
     return sorted(out, key=lambda s: (s[0], s[2]))
 
 
-def model_spans(text: str, model: RandomOrName, threshold: float) -> Iterator[tuple[int, int, int]]:
+def model_spans(text: str, model: RandomOrName, threshold: float, base: list[tuple[int, int, int]] = ()) -> Iterator[tuple[int, int, int]]:
+    """Runs that the models find random, whatever characters they have; those within a base span say nothing new."""
     for m in _CANDIDATE.finditer(text):
-        run = m[0]
-        classes = bool(re.search("[0-9]", run)) + bool(re.search("[A-Z]", run)) + bool(re.search("[a-z]", run))
-        if classes >= 2 and any(c.isdigit() for c in run) and len(set(run)) >= 8 and model.score(run) > threshold:
+        if model.score(m[0]) > threshold and not any(a <= m.start() and m.end() <= b for a, b, _ in base):
             yield m.start(), m.end(), 3
 
 
@@ -110,7 +112,7 @@ def render(spans: list[tuple[int, int, int]]) -> str:
 
 def scan_text(text: str, model: RandomOrName, threshold: float) -> tuple[int, int, int, str, str]:
     base = base_spans(text)
-    spans = sorted([*base, *model_spans(text, model, threshold)], key=lambda s: (s[0], s[2]))
+    spans = sorted([*base, *model_spans(text, model, threshold, base)], key=lambda s: (s[0], s[2]))
     n = [sum(k == kind for _, _, k in base) for kind in range(3)]
     return *n, hashlib.sha256(render(base).encode()).hexdigest(), render(spans)
 
@@ -118,7 +120,7 @@ def scan_text(text: str, model: RandomOrName, threshold: float) -> tuple[int, in
 _FIELDS = (("n_assign", T.LongType(), pa.int64()), ("n_access", T.LongType(), pa.int64()), ("n_hex", T.LongType(), pa.int64()), ("base_sha256", T.StringType(), pa.string()), ("spans", T.StringType(), pa.string()))
 
 
-def secret_scan(docs: DataFrame, *, id_col: str = "doc_id", text: str = "text", samples: list[tuple[str, bool]] | None = None, threshold: float = 0.35) -> DataFrame:
+def secret_scan(docs: DataFrame, *, id_col: str = "doc_id", text: str = "text", samples: list[tuple[str, bool]] | None = None, threshold: float = THRESHOLD) -> DataFrame:
     """doc_id, n_assign, n_access, n_hex, base_sha256 and spans (kind:start:end, the models' ``random`` ones too)."""
     lean = docs.select(column(docs, id_col).alias("doc_id"), F.coalesce(column(docs, text), F.lit("")).alias("text"))
     model = docs.sparkSession.sparkContext.broadcast(RandomOrName(samples if samples is not None else labelled_samples()))  # 128 x 128 numbers
