@@ -8,7 +8,7 @@ each piece on and the shortest up to each piece are hashed (128 bits, over lower
 joined, and a piece is removed where a run that covers it has occurred before. These runs cover all that longer
 ones do. First is the least document id, then the place in the text.
 
-Hot runs: occurrences are counted with pre-aggregation, and the join back to the runs is one that AQE splits.
+Hot runs: occurrences are counted with pre-aggregation, and the joins back deal a run's places over ``SALTS`` tasks.
 
 Nulls and edges: a null text has no sentence and stays null; an empty text stays empty; texts too short for a run stay
 as they are; ids that are null come first; rows of equal id and text are one document and get the same result each; a
@@ -29,9 +29,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from derivatrace.llm.common import WORD_TABLE, column, cut, map_columns
+from derivatrace.llm.common import WORD_TABLE, column, cut, map_columns, spread_join
 
-SENTENCES, WORDS, WINDOW = 2, 25, 13
+SENTENCES, WORDS, WINDOW, SALTS = 2, 25, 13, 8
 # One set first, so that the search skips all else.
 _END = re.compile(r"[.!?…。！？\n](?:(?<=\n)|(?=[ \t-\r]))[ \t-\r]*")
 _TOKEN = re.compile(r"[^ \t-\r]+[ \t-\r]*")
@@ -120,9 +120,10 @@ def span_rows(docs: DataFrame) -> DataFrame:
 def repeated_runs(spans: DataFrame) -> DataFrame:
     """doc_id, key, at, n of every run that isn't the first of its kind."""
     doubled = spans.groupBy("h1").agg(F.count(F.lit(1)).alias("c")).where(F.col("c") > 1).select("h1")
-    again = cut(spans.join(doubled, "h1"), "span-candidates")
+    place = F.xxhash64("doc_id", "key", "at")
+    again = cut(spread_join(spans, doubled, ["h1"], SALTS, place), "span-candidates")
     first = again.groupBy("h1", "h2").agg(F.min(F.struct("doc_id", "key", "at")).alias("first"))
-    return again.join(first, ["h1", "h2"]).where(~F.struct("doc_id", "key", "at").eqNullSafe(F.col("first"))).select("doc_id", "key", "at", "n")
+    return spread_join(again, first, ["h1", "h2"], SALTS, place).where(~F.struct("doc_id", "key", "at").eqNullSafe(F.col("first"))).select("doc_id", "key", "at", "n")
 
 
 def dedup_spans(docs: DataFrame, *, id_col: str = "doc_id", text: str = "text") -> DataFrame:
