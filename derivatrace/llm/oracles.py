@@ -40,8 +40,8 @@ def quality_rules(alpha: float = 0.02, delta: float = 0.05) -> str:
         "symbols": part("n_symbols", "word_chars"), "dup_lines": part("n_dup_lines", "n_lines"), "repeats": part("n_repeat_words", "n_words"), "shouting": part("n_upper", "word_chars"),
         "short_lines": "CASE WHEN n_lines > 3 THEN greatest(0.0, 1.0 - CAST(n_words AS DOUBLE) / (n_lines * 8)) ELSE 0.0 END",
     }
-    each, steps = alpha / len(quality.MEASURES), len(quality.GRID)
-    long = " UNION ALL ".join(f"SELECT doc_id, lang, '{m}' AS m, {f} AS v FROM d" for m, f in formulas.items())
+    steps = len(quality.GRID)
+    long = " UNION ALL ".join(f"SELECT doc_id, lang, {j} AS m, {f} AS v FROM d" for j, f in enumerate(formulas.values()))
     return f"""WITH t AS (SELECT doc_id, lang, coalesce(text, '') AS text, regexp_extract_all(coalesce(text, ''), '{WORDS}') AS w, list_filter(string_split(coalesce(text, ''), chr(10)), lambda x: regexp_matches(x, '[^\\x20\\x09-\\x0D]')) AS lines FROM documents),
 g AS (SELECT doc_id, i, w[i:i + 2] AS g FROM (SELECT doc_id, w, unnest(range(1, len(w) - 1)) AS i FROM t) u),
 again AS (SELECT doc_id, count(DISTINCT pos) AS n FROM (SELECT doc_id, unnest([i, i + 1, i + 2]) AS pos FROM (SELECT *, count(*) OVER (PARTITION BY doc_id, g) AS c FROM g) u WHERE c > 1) v GROUP BY doc_id),
@@ -49,32 +49,44 @@ c AS (SELECT t.doc_id, lang, CAST(len(w) AS BIGINT) AS n_words, CAST(length(arra
 d AS (SELECT *, n_words < 50 OR 100 * n_repeat_words > 50 * n_words AS base_failed FROM c),
 v AS ({long}),
 marked AS (SELECT doc_id, min(quality) AS good FROM labels WHERE quality IS NOT NULL GROUP BY doc_id),
-held AS (SELECT v.lang, m, CAST(floor(v.v * {steps} + 1e-9) AS INT) AS b, good FROM v JOIN d USING (doc_id) JOIN marked USING (doc_id) WHERE NOT base_failed),
-family AS (SELECT lang, m, count(*) FILTER (good = 1) AS n, count(*) FILTER (good <> 1) AS nd, count(*) OVER () AS families FROM held GROUP BY lang, m),
-tried AS (SELECT f.lang, f.m, f.n, f.nd, f.families, s.b, count(*) FILTER (h.b >= s.b AND good = 1) AS k, count(*) FILTER (h.b >= s.b AND good <> 1) AS kd FROM family f, range(1, {steps + 1}) s(b), held h WHERE h.lang IS NOT DISTINCT FROM f.lang AND h.m = f.m GROUP BY ALL),
-sure AS (SELECT *, CAST(kd AS DOUBLE) / nd - CAST(k AS DOUBLE) / n AS gain FROM tried WHERE k <= n * {each!r} AND kd * n > k * nd AND
-  (SELECT sum(exp(lgamma(n + 1) - lgamma(i + 1) - lgamma(n - i + 1) + i * ln({each!r}) + (n - i) * ln(1 - {each!r}))) FROM range(0, k + 1) r(i)) <= {delta!r} / (families * {steps})),
-best AS (SELECT lang, m, arg_max(b, (gain, b)) / {float(steps)} AS cut FROM sure GROUP BY lang, m),
-bad AS (SELECT DISTINCT v.doc_id FROM v JOIN best ON v.lang IS NOT DISTINCT FROM best.lang AND v.m = best.m AND v.v >= cut)
+held AS (SELECT v.doc_id, v.lang, m, CAST(floor(v.v * {steps} + 1e-9) AS INT) AS b, good FROM v JOIN d USING (doc_id) LEFT JOIN marked USING (doc_id) WHERE NOT base_failed),
+-- The list of rules, from bad and unlabelled texts: for each measure the least cutoff of the greatest gain, and before it the highest of half that gain or more.
+shares AS (SELECT lang, m, s.b, count(*) FILTER (good <> 1 AND h.b >= s.b) / nullif(count(*) FILTER (good <> 1), 0) - coalesce(count(*) FILTER (good IS NULL AND h.b >= s.b) / nullif(count(*) FILTER (good IS NULL), 0), 0) AS gain FROM held h, range(1, {steps + 1}) s(b) WHERE good IS DISTINCT FROM 1 GROUP BY ALL),
+tops AS (SELECT lang, m, max(gain) AS g FROM shares WHERE gain IS NOT NULL GROUP BY ALL HAVING max(gain) >= {quality.LEAST_GAIN}),
+cuts AS (SELECT t.lang, t.m, t.g, max(b) FILTER (gain >= g * 0.5) AS hi, max(b) FILTER (gain >= g) AS lo FROM tops t JOIN shares s ON s.lang IS NOT DISTINCT FROM t.lang AND s.m = t.m GROUP BY ALL),
+listed AS (SELECT lang, m, unnest(list_distinct([hi, lo])) AS b, g FROM cuts),
+rules AS (SELECT lang, m, b, row_number() OVER (PARTITION BY lang ORDER BY g DESC, m, b DESC) AS i FROM listed),
+-- Good texts test them in that order; a rule is held to all that it and those before it reject.
+first AS (SELECT h.doc_id, h.lang, min(i) AS i FROM held h JOIN rules r ON r.lang IS NOT DISTINCT FROM h.lang AND r.m = h.m AND h.b >= r.b WHERE good = 1 GROUP BY h.doc_id, h.lang),
+size AS (SELECT lang, count(DISTINCT doc_id) AS n, count(*) OVER () AS strata FROM held WHERE good = 1 GROUP BY lang),
+tests AS (SELECT r.lang, r.m, r.b, r.i, n, strata, (SELECT count(*) FROM first f WHERE f.lang IS NOT DISTINCT FROM r.lang AND f.i <= r.i) AS k FROM rules r JOIN size ON size.lang IS NOT DISTINCT FROM r.lang),
+passed AS (SELECT *, k <= n * {alpha!r} AND (SELECT sum(exp(lgamma(n + 1) - lgamma(j + 1) - lgamma(n - j + 1) + j * ln({alpha!r}) + (n - j) * ln(1 - {alpha!r}))) FROM range(0, k + 1) r(j)) <= {delta!r} / strata AS ok FROM tests),
+sure AS (SELECT lang, m, min(b) / {float(steps)} AS cut FROM passed p WHERE NOT EXISTS (SELECT 1 FROM passed q WHERE q.lang IS NOT DISTINCT FROM p.lang AND q.i <= p.i AND NOT q.ok) GROUP BY lang, m),
+bad AS (SELECT DISTINCT v.doc_id FROM v JOIN sure ON v.lang IS NOT DISTINCT FROM sure.lang AND v.m = sure.m AND v.v >= cut)
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT base_failed AND bad.doc_id IS NULL AS kept FROM d LEFT JOIN bad USING (doc_id)"""
 
 
-def urls(depth: int = 3, most_children: int = 50, rare: float = 0.2, critical: float = 3.0, weight: float = 10.0, least_labels: int = 20, least_coverage: float = 0.5, reject_at: float = 0.9) -> str:
+def urls(depth: int = 3, most_children: int = 50, rare: float = 0.2, z: float = 2.326, least_branch: int = 10, weight: float = 10.0, least_labels: int = 10, least_coverage: float = 0.25, reject_at: float = 0.9) -> str:
     fits = lambda r: f"(host = '{r.host}' OR ends_with(host, '.{r.host}')) AND starts_with(path, '{r.path}')"
     order = sorted(url_filter.RULES, key=lambda r: (len(r.text), len(r.host), r.verdict == "block"), reverse=True)
     case = lambda value: "CASE " + " ".join(f"WHEN {fits(r)} THEN '{value(r)}'" for r in order) + " END"
     end = "(\\.[A-Za-z][A-Za-z0-9]{0,4})$"
 
-    def form(i: int) -> str:
-        s = f"segs[{i}]"
+    def kind(s: str) -> str:
         stem = f"regexp_replace({s}, '{end}', '')"
-        return f"""CASE WHEN len(segs) < {i} THEN '' ELSE (CASE WHEN regexp_matches({stem}, '^\\d+$') THEN '{{n}}' WHEN regexp_matches({stem}, '^\\d{{4}}-\\d{{2}}(-\\d{{2}})?$') THEN '{{date}}' WHEN regexp_matches({stem}, '^[0-9A-Fa-f-]{{8,}}$') AND regexp_matches({stem}, '\\d') THEN '{{hex}}' WHEN regexp_matches({stem}, '\\d') AND length({stem}) >= 12 THEN '{{mixed}}' ELSE {stem} END) || regexp_extract({s}, '{end}', 1) END AS t{i}"""
+        return f"""(CASE WHEN regexp_matches({stem}, '^\\d+$') THEN '{{n}}' WHEN regexp_matches({stem}, '^\\d{{4}}-\\d{{2}}(-\\d{{2}})?$') THEN '{{date}}' WHEN regexp_matches({stem}, '^[0-9A-Fa-f-]{{8,}}$') AND regexp_matches({stem}, '\\d') THEN '{{hex}}' WHEN regexp_matches({stem}, '\\d') AND length({stem}) >= 12 THEN '{{mixed}}' ELSE {stem} END) || regexp_extract({s}, '{end}', 1)"""
+
+    def form(i: int) -> str:
+        return f"CASE WHEN len(segs) < {i} THEN '' ELSE {kind(f'segs[{i}]')} END AS t{i}"
 
+    rest = f"CASE WHEN len(segs) > {depth} THEN '/' || array_to_string(list_transform(segs[{depth + 1}:], lambda x: {kind('x')}), '/') ELSE '' END AS t{depth + 1}"
+    part = "(2.0 / (9.0 * (forms - 1)))"
+    limit = f"CASE WHEN forms > 1 THEN (forms - 1) * pow(1.0 - {part} + {z} * sqrt{part}, 3.0) ELSE 0 END + 1e-6"
     levels = [f"t{i}" for i in range(1, depth + 2)]
     ctes = [
         f"u AS (SELECT page_id, translate(regexp_extract(coalesce(url, ''), '(?s)^.*?://([^/?#]*)([^?#]*)', 1), '{UPPER}', '{LOWER}') AS host, regexp_extract(coalesce(url, ''), '(?s)^.*?://([^/?#]*)([^?#]*)', 2) AS path FROM pages)",
         f"r AS (SELECT *, {case(lambda r: r.text)} AS rule, {case(lambda r: r.verdict)} AS label, string_split(regexp_replace(path, '^/', ''), '/') AS segs FROM u)",
-        f"p AS (SELECT page_id, host, path, rule, label, {', '.join(form(i) for i in range(1, depth + 1))}, CASE WHEN len(segs) > {depth} THEN '{{tail' || (len(segs) - {depth}) || '}}' ELSE '' END AS t{depth + 1} FROM r)",
+        f"p AS (SELECT page_id, host, path, rule, label, {', '.join(form(i) for i in range(1, depth + 1))}, {rest} FROM r)",
         f"l0 AS (SELECT host, {', '.join(levels)}, count(*) AS n, count(label) AS labelled, count(*) FILTER (label = 'block') AS blocked FROM p GROUP BY ALL)",
     ]
     parents = ["host"]
@@ -87,7 +99,7 @@ def urls(depth: int = 3, most_children: int = 50, rare: float = 0.2, critical: f
             f"q{i} AS (SELECT {up}, {nxt}, sum(c) AS pc FROM c{i} GROUP BY ALL)",
             f"s{i} AS (SELECT {up}, sum(pc) AS pn, count(*) AS forms FROM q{i} GROUP BY ALL)",
             f"x{i} AS (SELECT {up}, n{i}, sum(CAST(c AS DOUBLE) * c / pc) AS x, sum(c) AS bn FROM c{i} JOIN q{i} USING ({up}, {nxt}) GROUP BY ALL)",
-            f"m{i} AS (SELECT {up}, n{i}, true AS alike FROM x{i} JOIN s{i} USING ({up}) WHERE n{i} <> '' AND x * pn / bn - bn <= (forms - 1) + {critical} * sqrt(2.0 * (forms - 1)) + 1e-6)",
+            f"m{i} AS (SELECT {up}, n{i}, true AS alike FROM x{i} JOIN s{i} USING ({up}) WHERE n{i} <> '' AND bn >= {least_branch} AND x * pn / bn - bn <= {limit} QUALIFY count(*) OVER (PARTITION BY {up}) > 1)",
             f"l{i} AS (SELECT a.* EXCLUDE (n{i}), CASE WHEN m.alike THEN '~' ELSE a.n{i} END AS n{i} FROM v{i} a LEFT JOIN m{i} m USING ({up}, n{i}))",
         ]
         parents.append(f"n{i}")

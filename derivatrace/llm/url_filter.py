@@ -1,13 +1,16 @@
 """URL filter by a path-template tree, in DataFrame functions only.
 
-A url's path segments are first generalised by form (numbers, hex runs, long mixed words). Equal paths of a host are
-counted together, and on these counted templates the tree is built level by level: a level where a node has very many
-rare children turns into a wildcard, and sibling branches that lead on to the same forms in like shares (chi-square
-against their pooled shares) merge into one. Urls that a fixed rule decides are the labelled ones; a template is
-rejected when enough of it is labelled and its share of blocked labels, smoothed towards its host's share, is high.
+A url's path segments are first generalised by form (numbers, dates, hex runs, long mixed words stand as wildcards of
+their kind). Equal paths of a host are counted together, and on these counted templates the tree is built level by
+level: a level where a node has very many rare children turns into one wildcard, and sibling branches of enough urls that
+lead on to the same forms in like shares (chi-square against their pooled shares) merge into one; small branches, of which
+a test can tell nothing, stay apart. Urls that a fixed rule decides are the labelled ones; a template is rejected when
+enough of it is labelled and its share of blocked labels, smoothed towards its host's share, is high. So a verdict reaches
+the unlabelled urls of a template, and of branches merged with labelled ones.
 
 Nulls and edges: a null url, or one without ``://``, has an empty host and path, matches no rule and is allowed;
-repeated rows are judged each, alike; an empty table gives an empty result. Segments below ``depth`` stand as one tail.
+repeated rows are judged each, alike; an empty table gives an empty result. The tree has ``depth`` levels; all segments
+below them, generalised each, are the form of the last one, so paths that differ there are different templates.
 """
 
 from __future__ import annotations
@@ -72,18 +75,23 @@ def generalised(segment: Column) -> Column:
 
 
 def templates(pages: DataFrame, url: str, rules: tuple[Rule, ...], depth: int) -> DataFrame:
-    """Each row's host, path, rule, label and template levels t1..t<depth>+tail (form of each segment)."""
+    """Each row's host, path, rule, label and template levels t1..t<depth> and the rest (form of each segment)."""
     host, path = url_parts(column(pages, url))
     out = pages.withColumns({"_host": host, "_path": path})
     out = out.withColumns({"_rule": rule_column(rules, F.col("_host"), F.col("_path"), lambda r: r.text), "_label": rule_column(rules, F.col("_host"), F.col("_path"), lambda r: r.verdict)})
-    segments = F.split(F.regexp_replace("_path", "^/", ""), "/", depth + 1)
-    out = out.withColumn("_segments", segments)
-    # The tail below the last level counts by its form only: how many segments follow.
-    tail = F.when(F.size("_segments") > depth, F.concat(F.lit("{tail"), F.size(F.split(F.get("_segments", F.lit(depth)), "/")).cast("string"), F.lit("}"))).otherwise(F.lit(""))
-    return out.withColumns({**{f"_t{i + 1}": F.when(F.size("_segments") > i, generalised(F.get("_segments", F.lit(i)))).otherwise(F.lit("")) for i in range(depth)}, f"_t{depth + 1}": tail})
+    out = out.withColumn("_segments", F.split(F.regexp_replace("_path", "^/", ""), "/", -1))
+    below = F.slice("_segments", depth + 1, F.greatest(F.size("_segments") - depth, F.lit(0)))
+    rest = F.when(F.size("_segments") > depth, F.concat(F.lit("/"), F.array_join(F.transform(below, generalised), "/"))).otherwise(F.lit(""))
+    return out.withColumns({**{f"_t{i + 1}": F.when(F.size("_segments") > i, generalised(F.get("_segments", F.lit(i)))).otherwise(F.lit("")) for i in range(depth)}, f"_t{depth + 1}": rest})
 
 
-def tree(counted: DataFrame, depth: int, *, most_children: int, rare: float, critical: float) -> DataFrame:
+def critical_value(free: Column, z: float) -> Column:
+    """The chi-square value that z's upper tail leaves, by the cube approximation; 0 without a degree of freedom."""
+    part = F.lit(2.0) / (9.0 * free)
+    return F.when(free > 0, free * F.pow(1.0 - part + z * F.sqrt(part), F.lit(3.0))).otherwise(F.lit(0.0))
+
+
+def tree(counted: DataFrame, depth: int, *, most_children: int, rare: float, z: float, least_branch: int) -> DataFrame:
     """Add node columns n1..n<depth>: the segment's form, ``*`` for a wildcard, ``~`` for a merged branch.
 
     counted has a row for each host and lexical template, with its rows n, so every step works on pre-aggregated rows.
@@ -105,23 +113,27 @@ def tree(counted: DataFrame, depth: int, *, most_children: int, rare: float, cri
         tested = parts.join(branch, [*parents, f"_n{i}"]).join(totals, parents)
         statistic = F.col("_x") * F.col("_pn") / F.col("_bn") - F.col("_bn")
         free = F.col("_forms") - 1
-        alike = tested.where(statistic <= free + critical * F.sqrt(2.0 * free) + F.lit(1e-6)).where(F.col(f"_n{i}") != "").select(*parents, f"_n{i}", F.lit(True).alias("_alike"))
+        alike = tested.where((statistic <= critical_value(free, z) + F.lit(1e-6)) & (F.col("_bn") >= least_branch)).where(F.col(f"_n{i}") != "").select(*parents, f"_n{i}", F.lit(True).alias("_alike"))
+        several = alike.groupBy(*parents).agg(F.count(F.lit(1)).alias("_like")).where("_like > 1").drop("_like")  # one alone keeps its name
+        alike = alike.join(several, parents)
         out = cut(out.join(alike, [*parents, f"_n{i}"], "left").withColumn(f"_n{i}", F.when(F.col("_alike"), F.lit("~")).otherwise(F.col(f"_n{i}"))).drop("_alike"), f"url-level{i}")
         parents = [*parents, f"_n{i}"]
     return out
 
 
-def url_filter(pages: DataFrame, *, id_col: str = "page_id", url: str = "url", rules: tuple[Rule, ...] = RULES, depth: int = 3, most_children: int = 50, rare: float = 0.2, critical: float = 3.0, weight: float = 10.0, least_labels: int = 20, least_coverage: float = 0.5, reject_at: float = 0.9) -> DataFrame:
+def url_filter(pages: DataFrame, *, id_col: str = "page_id", url: str = "url", rules: tuple[Rule, ...] = RULES, depth: int = 3, most_children: int = 50, rare: float = 0.2, z: float = 2.326, least_branch: int = 10, weight: float = 10.0, least_labels: int = 10, least_coverage: float = 0.25, reject_at: float = 0.9) -> DataFrame:
     """page_id, host, path, rule (null: none), verdict (allow or block), template and its smoothed purity.
 
-    weight: labels that the host's share counts for; a template is rejected from ``reject_at`` on, if at least
-    least_labels of its urls and least_coverage of them are labelled.
+    most_children, rare: a node with more children, none of a larger share, has a wildcard for them. z: the test merges
+    what isn't unlike at that normal quantile (1%); least_branch: urls that a branch needs to be merged. weight: labels
+    that the host's share counts for; a template is rejected from ``reject_at`` on, if at least least_labels of its urls
+    and least_coverage of them are labelled.
     """
     lean = pages.select(column(pages, id_col).alias("page_id"), column(pages, url).alias("url"))
     rows = templates(lean, "url", rules, depth)
     levels = [f"_t{i}" for i in range(1, depth + 2)]
     counted = cut(rows.groupBy("_host", *levels).agg(F.count(F.lit(1)).alias("n"), F.count("_label").alias("labelled"), F.count_if(F.col("_label") == "block").alias("blocked")), "url-templates")
-    nodes = tree(counted, depth, most_children=most_children, rare=rare, critical=critical)
+    nodes = tree(counted, depth, most_children=most_children, rare=rare, z=z, least_branch=least_branch)
     path = [*[f"_n{i}" for i in range(1, depth + 1)], f"_t{depth + 1}"]
     merged = nodes.groupBy("_host", *path).agg(F.sum("n").alias("_n"), F.sum("labelled").alias("_l"), F.sum("blocked").alias("_b"))
     hosts = counted.groupBy("_host").agg(F.sum("labelled").alias("_hl"), F.sum("blocked").alias("_hb"))
