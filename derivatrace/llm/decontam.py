@@ -107,19 +107,20 @@ def print_rows(items: DataFrame, span: int, k: int) -> DataFrame:
 
 
 def bit_filter(prints: DataFrame, bits: int = BITS) -> tuple[np.ndarray, list[int]]:
-    """A filter with a bit for each fingerprint, 16 bits an entry and at most ``bits`` in all, and the sizes of windows."""
+    """A filter with two bits for each fingerprint, 64 an entry and at most ``bits`` in all, and the sizes of windows."""
     sizes = {r["n"]: r["c"] for r in prints.groupBy("n").agg(F.count(F.lit(1)).alias("c")).collect()}
-    size = min(bits, max(64, 1 << (16 * sum(sizes.values())).bit_length()))
-    at = F.col("print").bitwiseAND(F.lit(size - 1).cast("long"))
-    words_ = prints.select(F.shiftright(at, 6).alias("w"), F.expr(f"shiftleft(1L, cast(print & {min(size - 1, 63)}L as int))").alias("b")).groupBy("w").agg(F.bit_or("b").alias("b")).toArrow()  # at most bits / 64 rows
+    size = min(bits, max(64, 1 << (64 * sum(sizes.values())).bit_length()))
+    at = F.explode(F.array(F.col("print").bitwiseAND(F.lit(size - 1).cast("long")), F.shiftrightunsigned("print", 32).bitwiseAND(F.lit(size - 1).cast("long"))))
+    words_ = prints.select(at.alias("at")).select(F.shiftright("at", 6).alias("w"), F.expr("shiftleft(1L, cast(at & 63L as int))").alias("b")).groupBy("w").agg(F.bit_or("b").alias("b")).toArrow()  # at most bits / 64 rows
     out = np.zeros(max(1, size // 64), np.int64)
     out[words_.column("w").to_numpy()] = words_.column("b").to_numpy()
     return out.view(np.uint64), sorted(sizes)
 
 
 def passes(filter_: np.ndarray, prints: np.ndarray) -> np.ndarray:
-    at = prints & np.uint64(64 * len(filter_) - 1)
-    return (filter_[(at >> np.uint64(6)).astype(np.int64)] >> (at & np.uint64(63)) & np.uint64(1)).astype(bool)
+    mask = np.uint64(64 * len(filter_) - 1)
+    held = lambda at: (filter_[(at >> np.uint64(6)).astype(np.int64)] >> (at & np.uint64(63)) & np.uint64(1)).astype(bool)
+    return held(prints & mask) & held(prints >> np.uint64(32) & mask)
 
 
 def candidates(texts: list[bytes], filter_: np.ndarray, sizes: list[int], span: int, k: int) -> Iterator[tuple[int, list[tuple[int, int, bytes]]]]:
