@@ -3,7 +3,7 @@
 ``queries`` has one run of each query of the two mixes by either engine at that scale. ``flat`` is mixTime of either engine
 (mean of 3 runs) at this scale and at a hundredth of it; ``deep`` has, for each query, the seconds of the plain engine (t)
 and of the provenance engine on one answer (tinst) at a tenth of the scale (mean of 5 runs) and at it (t10, tinst10; mean
-of $BENCH_RUNS, 2 by default), and the unions. Answers are picked before any clock runs. A run over 40 minutes is a timeout (null).
+of $BENCH_RUNS, 1 by default), and the unions. Answers are picked before any clock runs. A run over 40 minutes is a timeout (null).
 """
 
 from __future__ import annotations
@@ -70,7 +70,7 @@ def main() -> None:
             began = time.perf_counter()
             run(make(folder, q)())
             took[f"{kind}_{q}"] = round(time.perf_counter() - began, 3)
-    few = int(os.environ.get("BENCH_RUNS", "2"))
+    few = int(os.environ.get("BENCH_RUNS", "1"))
     for q in DEEP:
         row = {"unf_base": union_count(survey(spark, folder), DEEP[q].cq, certain=True), "unf": union_count(survey(spark, folder), DEEP[q].cq), "uinst": union_count(survey(spark, folder), instantiate(DEEP[q].cq, answers[folder, q]))}
         for where, suffix, runs in ((tenth, "", 5), (folder, "10", few)):

@@ -57,6 +57,8 @@ class Facts:
     arrays: list[str] = field(default_factory=list)
     #: Instead of a frame, a scan that other atoms may share.
     scan: Scan | None = None
+    #: Whether the arguments hold the key of the row read, so that making facts distinct would drop next to nothing.
+    keyed: bool = False
 
 
 def spelled(prefix: str, columns: Iterable[str]) -> str:
@@ -165,7 +167,7 @@ def scanned(instance: Instance, facts: Facts) -> Facts:
     df = instance.tables[scan.table].where(" and ".join(dict.fromkeys(scan.conditions))).selectExpr(*select, *[f"{x} as {n}" for n, x in generators])
     for n, _ in generators:
         df = df.selectExpr("*", f"explode({n}) as _way{n[5:]}").drop(n)
-    return Facts(df, args, texts, arrays)
+    return Facts(df, args, texts, arrays, keyed=set(scan.keys) <= {c for key in facts.args if key for c in key.columns})
 
 
 def sharing(instance: Instance, rows: list[tuple[str, tuple]], atoms: list[list[Facts]], labels: bool) -> tuple[list, list]:
@@ -204,8 +206,10 @@ def atom_frames(instance: Instance, pred: str, args: tuple, *, labels: bool = Tr
     reached = sorted(atom_closure(pred, args, list(instance.ontology.positive)).items())
     rules = {at: instance.rules_for(*at, bind) for at, _ in reached}
     if not labels:
-        kept = {q: set(map(id, irredundant([r for (_, other), found in rules.items() if other == q for r in found]))) for _, q in rules}
-        rules = {at: [r for r in found if id(r) in kept[at[1]]] for at, found in rules.items()}
+        # Rules by what they make of the atom's own arguments: what others subsume adds no answer.
+        plain = [(at, r, replace(r, head=tuple(r.head[at[1].index(a)] if a[0] != "b" and a in at[1] else None for a in args))) for at, found in rules.items() for r in found]
+        kept = set(map(id, irredundant([n for _, _, n in plain])))
+        rules = {at: [r for other, r, n in plain if other == at and id(n) in kept] for at in rules}
 
     def place(facts: Facts, q: tuple) -> None:
         """The atom's own arguments in terms of the yielding fact's; a variable repeated by a swap must agree with itself."""
@@ -287,6 +291,9 @@ def joined(instance: Instance, rows: list[tuple[str, tuple]], head: tuple[str, .
             out.append(df.selectExpr(*(select or ["1 as _one"])))
         return union(out), *(([], [f"_m{i}"]) if len(out) > 1 else (texts, arrays))
 
+    def once(i: int) -> bool:
+        return len(atoms[i]) == 1 and atoms[i][0].keyed
+
     ordered, wanted = order(rows), set(head)
     out, have, texts, arrays = None, [], [], []
     for n, (i, row) in enumerate(ordered):
@@ -297,12 +304,12 @@ def joined(instance: Instance, rows: list[tuple[str, tuple]], head: tuple[str, .
         on = [c for v in shared for c in columns[v]]
         new = [v for v in own if v not in have]
         if out is None:
-            out = df if labels else df.distinct()
+            out = df if labels or once(i) else df.distinct()
         elif not labels and not set(new) & (wanted | later):
             # Without a shared variable the body is a product of two independent questions by its meaning.
             out = out.join(df, on, "left_semi") if on else out.crossJoin(df.limit(1).selectExpr("1 as _some")).drop("_some")
         else:
-            df = df if labels else df.distinct()
+            df = df if labels or once(i) else df.distinct()
             out = out.join(df, on) if on else out.crossJoin(df)
         have += new
         texts, arrays = texts + more_texts, arrays + more_arrays
