@@ -61,7 +61,23 @@ def label_use(poly: DataFrame) -> DataFrame:
     return used.groupBy("label").agg(F.count(F.lit(1)).alias("n_monomials"), F.count_distinct("_a").alias("n_answers")).withColumn("kind", label_kind(F.col("label")))
 
 
+def label_rows(poly: DataFrame) -> DataFrame:
+    """kind, source (table part of a row label) and length (of its monomial) of every label of every monomial."""
+    used = poly.select(F.explode("mono").alias("label"), F.size("mono").alias("length"))
+    return used.select(label_kind(F.col("label")).alias("kind"), F.when(F.col("label").startswith("@"), F.regexp_extract("label", "^@([A-Za-z]+)", 1)).otherwise(F.col("label")).alias("source"), "length")
+
+
 def source_rollup(poly: DataFrame) -> DataFrame:
-    """kind, source (table part of a row label), n: how often each takes part, with subtotals."""
-    used = poly.select(F.explode("mono").alias("label")).select(label_kind(F.col("label")).alias("kind"), F.when(F.col("label").startswith("@"), F.regexp_extract("label", "^@([A-Za-z]+)", 1)).otherwise(F.col("label")).alias("source"))
-    return used.rollup("kind", "source").agg(F.count(F.lit(1)).alias("n"))
+    """kind, source, n: how often each takes part, with subtotals."""
+    return label_rows(poly).rollup("kind", "source").agg(F.count(F.lit(1)).alias("n"))
+
+
+def label_cube(poly: DataFrame) -> DataFrame:
+    """kind, length, level, n: labels by kind and by the length of their derivation, with all subtotals; level tells which columns are summed over."""
+    return label_rows(poly).cube("kind", "length").agg(F.grouping_id().alias("level"), F.count(F.lit(1)).alias("n"))
+
+
+def label_sets(poly: DataFrame) -> DataFrame:
+    """kind, source, length, level, n: by kind and source, by length, and in all, in one pass."""
+    names = ("kind", "source", "length")
+    return label_rows(poly).groupingSets([["kind", "source"], ["length"], []], *names).agg(F.grouping_id().alias("level"), F.count(F.lit(1)).alias("n"))

@@ -249,6 +249,19 @@ def source_rollup(spark, path):
     return semirings.source_rollup(poly(spark, path, _ONE["Order"]))
 
 
+_LABEL_ROWS = f"k AS (SELECT {_KIND} AS kind, CASE WHEN starts_with(label, '@') THEN regexp_extract(label, '^@([A-Za-z]+)', 1) ELSE label END AS source, CAST(len(string_split(mono, '*')) AS INT) AS length FROM a_rows)"
+
+
+@register("label_cube", _with(("a", _ONE["Order"])) + f", {_ROWS}, {_LABEL_ROWS}\nSELECT kind, length, GROUPING(kind, length) AS level, count(*) AS n FROM k GROUP BY CUBE (kind, length)")
+def label_cube(spark, path):
+    return semirings.label_cube(poly(spark, path, _ONE["Order"]))
+
+
+@register("label_grouping_sets", _with(("a", _ONE["Order"])) + f", {_ROWS}, {_LABEL_ROWS}\nSELECT kind, source, length, GROUPING(kind, source, length) AS level, count(*) AS n FROM k GROUP BY GROUPING SETS ((kind, source), (length), ())")
+def label_grouping_sets(spark, path):
+    return semirings.label_sets(poly(spark, path, _ONE["Order"]))
+
+
 @register("explain_answer", oracles.provenance([parse_cq("q() :- Party('cust/5')")], fixture.DEEP, 2))
 def explain_answer(spark, path):
     return shown(explain.why(deep(spark, path), parse_cq("q(x) :- Party(x)"), {"x": "cust/5"}))
@@ -301,7 +314,7 @@ _RULE_ROWS = ", ".join(f"('{r.name}', '{r.pred}', {len(r.head)})" for r in fixtu
 _SATURATED = f"""{_CLOSURE}, rules(rule, p, n) AS (VALUES {_RULE_ROWS}),
 heads AS (SELECT p, n FROM rules UNION SELECT replace(replace(n, 'exists ', ''), '-', ''), CASE WHEN contains(n, 'exists') OR ascii(n) >= 97 THEN 2 ELSE 1 END FROM nodes),
 ways AS (SELECT sub, super, m FROM w UNION SELECT p, p, CAST([] AS VARCHAR[]) FROM heads)
-SELECT DISTINCT rule, super AS pred, ends_with(sub, '-') OR contains(sub, 'exists') AND n = 2 AND false AS swapped, array_to_string(list_sort(list_distinct(list_append(m, rule))), '*') AS labels
+SELECT DISTINCT rule, super AS pred, ends_with(sub, '-') AS swapped, array_to_string(list_sort(list_distinct(list_append(m, rule))), '*') AS labels
 FROM ways JOIN rules ON replace(sub, '-', '') = p WHERE NOT contains(super, 'exists') AND NOT contains(sub, 'exists')"""
 
 
