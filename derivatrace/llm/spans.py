@@ -29,12 +29,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from derivatrace.llm.common import WORD_TABLE, column, cut, map_columns
+from derivatrace.llm.common import WORD_TABLE, column, cut, map_columns, tidy
 
 SENTENCES, WORDS, WINDOW = 2, 25, 13
 # One set first, so that the search skips all else.
 _END = re.compile(r"[.!?…。！？\n](?:(?<=\n)|(?=[ \t-\r]))[ \t-\r]*")
-_TOKEN = re.compile(r"[^ \t-\r]+[ \t-\r]*")
 #: As WORD_TABLE, but only white space gives spaces; other bytes between words give zeros.
 _TOKEN_TABLE = bytes(32 if 9 <= i <= 13 or i == 32 else 0 if c == 32 else c for i, c in enumerate(WORD_TABLE))
 _ZEROS = bytes.maketrans(b"\0", b" ")
@@ -52,15 +51,26 @@ def winnowed(keys: np.ndarray) -> set[int]:
     return set((mask - (least & np.uint64(mask)).astype(np.int64)).tolist())
 
 
+def token_ends(text: str, whole: bytes) -> list[int]:
+    """End of each token and the white space after it, in code points; ``whole`` has the text's bytes with only white space as spaces."""
+    word = np.frombuffer(whole, np.uint8) != 32
+    begins = word.copy()
+    begins[1:] &= ~word[:-1]
+    ends = np.append(np.flatnonzero(begins)[1:], len(whole))
+    if len(whole) != len(text):
+        first = np.frombuffer(text.encode(), np.uint8) & 0xC0 != 0x80
+        ends = np.cumsum(first)[ends - 1]
+    return ends.tolist()
+
+
 def sentences(text: str) -> list[tuple[int, int, bytes]]:
     """(start, end, normal form) of each piece that has a word; together they cover the text."""
-    lead = len(text) - len(text.lstrip(" \t\n\v\f\r"))
-    ends = list(accumulate(map(len, _TOKEN.findall(text)), initial=lead))[1:]
     whole = text.encode().translate(_TOKEN_TABLE)
     bare = [t.strip(b"\0") for t in whole.split()]
-    stops = {m.end() for m in _END.finditer(text)}
     if not any(bare):
         return []
+    ends = token_ends(text, whole)
+    stops = {m.end() for m in _END.finditer(text)}
     if not all(bare):
         # What has no word goes with the word before it, and so does its sentence end.
         full = [i for i, t in enumerate(bare) if t]
@@ -83,17 +93,19 @@ def runs(found: list[tuple[int, int, bytes]]) -> Iterator[tuple[int, int, bytes]
     """(first piece, number of pieces, hash) of the shortest long-enough run from each piece on and up to each piece."""
     forms = [f for _, _, f in found]
     sums = list(accumulate((f.count(b" ") + 1 for f in forms), initial=0))
-    made: set[tuple[int, int]] = set()
+    made: list[tuple[int, int]] = []
     i = 0
     for end in range(SENTENCES, len(found) + 1):
         # The runs from these pieces on end here first, the last of them is the shortest that ends here.
         before = i
         while i <= end - SENTENCES and sums[end] - sums[i] >= WORDS:
             i += 1
-        made.update((a, end) for a in range(before, i))
-        if i:
-            made.add((i - 1, end))
-    for a, e in sorted(made):
+        if i > before:
+            made += [(a, end) for a in range(before, i)]
+        elif i:
+            made.append((i - 1, end))
+    made.sort()
+    for a, e in made:
         yield a, e - a, xxhash.xxh3_128_digest(b"\n".join(forms[a:e]))
 
 
@@ -112,6 +124,7 @@ def span_rows(docs: DataFrame) -> DataFrame:
                 hashes = np.frombuffer(b"".join(r[2] for r in flat), "<i8").reshape(-1, 2)
                 own = pa.array(np.repeat(np.arange(s.num_rows), sizes))
                 yield pa.RecordBatch.from_arrays([pa.array(hashes[:, 0].copy()), pa.array(hashes[:, 1].copy()), s.column("doc_id").take(own), s.column("key").take(own), pa.array([r[0] for r in flat], pa.int32()), pa.array([r[1] for r in flat], pa.int32())], names=["h1", "h2", "doc_id", "key", "at", "n"])
+        tidy()
 
     out = T.StructType([T.StructField("h1", T.LongType()), T.StructField("h2", T.LongType()), docs.schema["doc_id"], T.StructField("key", T.LongType()), T.StructField("at", T.IntegerType()), T.StructField("n", T.IntegerType())])
     return docs.mapInArrow(make, out)
@@ -141,6 +154,7 @@ def dedup_spans(docs: DataFrame, *, id_col: str = "doc_id", text: str = "text")
                 k, gone, left = zip(*rows, strict=True)
                 kind = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))
                 yield pa.RecordBatch.from_arrays([s.column("doc_id"), pa.array(k, pa.int64()), pa.array([[{"start": a, "end": e} for a, e in g] for g in gone], kind), pa.array(left, pa.string())], names=["doc_id", "n_removed", "removed", "text"])
+        tidy()
 
     removed = T.ArrayType(T.StructType([T.StructField("start", T.LongType()), T.StructField("end", T.LongType())]))
     return map_columns(joined, [T.StructField("n_removed", T.LongType()), T.StructField("removed", removed), T.StructField("text", T.StringType())], make, keep=["doc_id"])
