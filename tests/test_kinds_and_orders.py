@@ -34,3 +34,18 @@ def test_plain_deals_are_no_product_of_nations(spark):
     plan = certain_answers(queries.survey(spark, DATA), DEEP["D04"].cq)._jdf.queryExecution().optimizedPlan().toString()
     joins = [line for line in plan.splitlines() if "Join " in line]
     assert joins and not any(line.count("=") == 1 and "v000" in line for line in joins) and "concat" not in "".join(joins)
+
+
+def test_answers_are_picked_without_a_shuffle_of_all(spark):
+    from derivatrace.operators import explain
+
+    rows = [("a",)] * 500 + [(f"k{i}",) for i in range(9)] + [("a",)] * 500
+    df = spark.createDataFrame(rows, "x string").repartition(3)
+    import hashlib
+
+    want = sorted({r[0] for r in rows}, key=lambda x: hashlib.md5(x.encode()).hexdigest())
+    assert [r["x"] for r in explain.sample_answers(df, 5)] == want[:5]
+    assert [r["x"] for r in explain.sample_answers(df, 50)] == want
+    assert [r["x"] for r in explain.sample_answers(df, 5, 0.5)] == [r["x"] for r in explain.sample_answers(df, 5, 1e-9)] == want[:5]
+    plan = certain_answers(queries.survey(spark, DATA), DEEP["D06"].cq, distinct=False)._jdf.queryExecution().optimizedPlan().toString()
+    assert not plan.startswith(("Aggregate", "Distinct"))
