@@ -14,11 +14,12 @@ long; it is tokenised in pieces, cut where the pre-tokeniser cuts anyway.
 
 from __future__ import annotations
 
+import itertools
 import json
 import re
 import struct
 import zlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -107,11 +108,23 @@ def cuts(text: str) -> Iterator[str]:
     yield text[at:] if at else text
 
 
+class Numbers(dict):
+    """Pieces by number: one that is met for the first time gets the next number at once, and waits among the new ones."""
+
+    def __init__(self, *args):
+        super().__init__(*args)
+        self.new: dict[str, int] = {}
+
+    def __missing__(self, piece: str) -> int:
+        self[piece] = self.new[piece] = n = next(self.count)
+        return n
+
+
 class Encoder:
     """Encodes texts with a file of the tokenizers library.
 
     Where the file is plain byte-level BPE, texts are split where its pre-tokeniser splits, and each distinct piece is
-    encoded once and kept: up to ``most`` that were met lately, and as many from the time before.
+    encoded once and kept under a number: up to twice ``most``, of which then the most frequent ones stay.
     """
 
     def __init__(self, path: str, most: int = 250_000):
@@ -135,46 +148,81 @@ class Encoder:
         self.after_space = np.zeros(max(vocabulary.values(), default=0) + 1, bool)
         self.after_space[[i for t, i in vocabulary.items() if t.startswith("\u0120")]] = True
         self.most = most
-        self.known: dict[str, bytes] = {}
-        self.spaced: dict[str, bytes] = {}
-        self.older: dict[str, bytes] = {}
+        self.known, self.spaced = Numbers(), Numbers()
+        self._keep([], [])
+
+    def _keep(self, known: list[str], spaced: list[str]) -> None:
+        """Forget all pieces but these, and number them anew."""
+        old = np.array([self.known[w] for w in known] + [self.spaced[w] for w in spaced], np.int64)
+        if len(old):
+            self.flat, self.lengths = self._flat(old), self.lengths[old]
+        else:
+            self.flat, self.lengths = np.empty(0, self.kind), np.empty(0, np.int64)
+        self.starts, self.met = np.cumsum(self.lengths) - self.lengths, np.zeros(len(old), np.int64)
+        # Both number their pieces in one row.
+        count = itertools.count(len(old))
+        self.known, self.spaced = Numbers(zip(known, range(len(known)), strict=True)), Numbers(zip(spaced, range(len(known), len(old)), strict=True))
+        self.known.count = self.spaced.count = count
 
     def _age(self) -> None:
-        """Forget the pieces that weren't met since the last time; frequent ones stay known."""
-        if len(self.known) > self.most // 4:
-            self.known = {}
-        if len(self.spaced) > self.most:
-            self.older, self.spaced = self.spaced, {}
-
-    def _learn(self, known: dict[str, bytes], words: list[str], before: str = "") -> None:
-        """Keep the ids of each word, as it stands after ``before``."""
+        """Once there are twice ``most``, forget the pieces met only once since the last time; of more than ``most`` others, the rarest too."""
+        if len(self.lengths) > 2 * self.most:
+            least = max(2, int(np.partition(self.met, -self.most)[-self.most]) + 1)
+            stay = (self.met >= least).tolist()
+            self._keep([w for w, i in self.known.items() if stay[i]], [w for w, i in self.spaced.items() if stay[i]])
+
+    def _flat(self, pieces: np.ndarray) -> np.ndarray:
+        """The ids of these pieces, one after the other."""
+        lengths = self.lengths[pieces]
+        return self.flat[np.repeat(self.starts[pieces] - (np.cumsum(lengths) - lengths), lengths) + np.arange(lengths.sum())]
+
+    def _learn(self, words: list[str], before: str = "") -> tuple[list[np.ndarray], list[np.ndarray]]:
+        """The ids of the words, as each stands after ``before``, and their numbers of ids."""
+        ids, lengths = [], []
         for i in range(0, len(words), 50_000):
             part = words[i : i + 50_000]
             # A list of words is encoded word by word, in one call.
             made = self.tokenizer.encode([before + w for w in part], is_pretokenized=True, add_special_tokens=False)
-            ids, step = np.array(made.ids, self.kind).tobytes(), np.dtype(self.kind).itemsize
-            ends = (np.searchsorted(np.array(made.word_ids), np.arange(len(part) + 1)) * step).tolist()
-            known.update(zip(part, [ids[a:b] for a, b in zip(ends, ends[1:], strict=False)], strict=True))
+            ids.append(np.array(made.ids, self.kind))
+            lengths.append(np.bincount(np.array(made.word_ids, np.int64), minlength=len(part)))
+        return ids, lengths
 
-    def _learn_spaced(self, words: list[str]) -> None:
+    def _learn_spaced(self, words: list[str]) -> tuple[list[np.ndarray], list[np.ndarray]]:
         """The same for words after a space: encoded in runs, and told apart as only their first ids hold a space."""
-        step = np.dtype(self.kind).itemsize
+        ids, lengths = [], []
         for i in range(0, len(words), 50_000):
             part = words[i : i + 50_000]
             made = self.tokenizer.encode_batch_fast([" " + " ".join(part[k : k + 500]) for k in range(0, len(part), 500)], add_special_tokens=False)
-            ids = np.concatenate([np.array(m.ids, self.kind) for m in made])
-            ends = np.append(np.flatnonzero(self.after_space[ids]), len(ids)).tolist()
+            got = np.concatenate([np.array(m.ids, self.kind) for m in made])
+            ends = np.append(np.flatnonzero(self.after_space[got]), len(got))
             if len(ends) != len(part) + 1:
-                self._learn(self.spaced, part, " ")
+                more = self._learn(part, " ")
+                ids, lengths = ids + more[0], lengths + more[1]
                 continue
-            flat = ids.tobytes()
-            self.spaced.update(zip(part, [flat[a * step : b * step] for a, b in zip(ends, ends[1:], strict=False)], strict=True))
+            ids.append(got)
+            lengths.append(np.diff(ends))
+        return ids, lengths
+
+    def _learn_new(self) -> None:
+        """Learn the pieces that were met for the first time, each under the number that it got then."""
+        found = [(self.known.new, self._learn(list(self.known.new))), (self.spaced.new, self._learn_spaced(list(self.spaced.new)))]
+        numbers = np.array([n for new, _ in found for n in new.values()], np.int64)
+        if not len(numbers):
+            return
+        flat = np.concatenate([x for _, (ids, _) in found for x in ids])
+        lengths = np.concatenate([x for _, (_, each) in found for x in each])
+        starts, n = len(self.flat) + np.cumsum(lengths) - lengths, len(self.lengths)
+        self.flat = np.concatenate([self.flat, flat])
+        self.lengths, self.starts, self.met = (np.concatenate([x, np.zeros(len(numbers), np.int64)]) for x in (self.lengths, self.starts, self.met))
+        self.lengths[numbers], self.starts[numbers] = lengths, starts
+        assert len(self.lengths) == n + len(numbers) == numbers.max() + 1
+        self.known.new, self.spaced.new = {}, {}
 
     def whole(self, text: str) -> bytes:
         return np.array(self.tokenizer.encode_batch_fast([text], add_special_tokens=False)[0].ids, self.kind).tobytes()
 
-    def pieces(self, text: str) -> list[bytes]:
-        return [b"".join(self.encode([x])) for x in cuts(text)]
+    def pieces(self, text: str) -> bytes:
+        return b"".join([b"".join(self.encode([x])) for x in cuts(text)])
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """Each text's ids, little-endian.
@@ -185,33 +233,37 @@ class Encoder:
         if self.pattern is None:
             return [self.whole(t) for t in texts]
         self._age()
-        split: list = []
-        firsts, rest = {"\n"}, set()
+        out: list[Callable[[str], bytes] | None] = []
+        row: list[int] = []
+        ends: list[int] = []
+        one, get = self.known.__getitem__, self.spaced.__getitem__
+        line_end = one("\n")
         for text in texts:
+            whole = None
             if len(text) > _PIECE and _CUT.search(text, _PIECE):
-                split.append(b"".join(self.pieces(text)))
+                whole = self.pieces
             elif self.added and self.added.search(text):
-                split.append(self.whole(text))
+                whole = self.whole
             elif even(text):
-                lines = []
-                for line in text.split("\n"):
-                    first, *after = line.split(" ")
-                    firsts.add(first)
-                    rest.update(after)
-                    lines.append((first, after))
-                split.append(lines)
+                for k, line in enumerate(text.split("\n")):
+                    words = iter(line.split(" "))
+                    if k:
+                        row.append(line_end)
+                    row.append(one(next(words)))
+                    row.extend(map(get, words))
             elif unsure(text):
-                split.append(self.whole(text))
+                whole = self.whole
             else:
-                firsts.update(words := self.pattern.findall(text))
-                split.append(tuple(words))
-        self._learn(self.known, [w for w in firsts if w not in self.known])
-        rest = rest.difference(self.spaced)
-        again = {w for w in rest if w in self.older}
-        self.spaced.update((w, self.older[w]) for w in again)
-        self._learn_spaced(list(rest - again))
-        one, get, line_end = self.known.__getitem__, self.spaced.__getitem__, self.known["\n"]
-        return [x if isinstance(x, bytes) else b"".join(map(one, x)) if isinstance(x, tuple) else line_end.join([one(first) + b"".join(map(get, after)) for first, after in x]) for x in split]
+                row.extend(map(one, self.pattern.findall(text)))
+            out.append(whole)
+            ends.append(len(row))
+        self._learn_new()
+        pieces = np.fromiter(row, np.int64, len(row))
+        del row
+        self.met += np.bincount(pieces, minlength=len(self.met))
+        step, at = np.dtype(self.kind).itemsize, np.concatenate([[0], np.cumsum(self.lengths[pieces])])[[0, *ends]].tolist()
+        flat = memoryview(self._flat(pieces).tobytes())
+        return [bytes(flat[a * step : b * step]) if whole is None else whole(text) for text, whole, a, b in zip(texts, out, at, at[1:], strict=False)]
 
 
 _ENCODERS: dict[str, Encoder] = {}
